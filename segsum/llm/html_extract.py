@@ -11,8 +11,8 @@ where the page marks its article, only what lies inside is taken.
 
 Statistics cover all pages of a host and are combined by partial aggregation;
 what returns to the pages is one reference and a set of constant hashes per
-host, joined by host without a hint, so adaptive execution broadcasts it when
-small and splits hot hosts when not.
+host: broadcast while its measured size stays under a bound, so that pages are
+not shuffled, else joined by host, where adaptive execution splits hot hosts.
 
 Defined cases: a null or empty page gives an empty text; a null url belongs to
 a host of its own name (empty); hosts with few pages have a reference but no
@@ -36,6 +36,7 @@ from .common import cut
 
 SHARE = 0.5
 MIN_PAGES = 8
+BROADCAST_BYTES = 32 << 20
 
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)|<[!?][^>]*+>?|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>?", re.S
@@ -360,6 +361,15 @@ def host_of(url: Column) -> Column:
     return F.lower(F.coalesce(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1), F.lit("")))
 
 
+def _by_host(wrappers: DataFrame) -> DataFrame:
+    """`wrappers` (materialised), marked for broadcast if its measured size allows."""
+    size = F.octet_length("host") + F.octet_length("reference") + 40
+    if "constants" in wrappers.columns:
+        size = size + 8 * F.greatest(F.size("constants"), F.lit(0))
+    total = wrappers.agg(F.sum(size)).first()[0] or 0
+    return F.broadcast(wrappers) if total <= BROADCAST_BYTES else wrappers
+
+
 def induce(pages: DataFrame, share: float = SHARE, min_pages: int = MIN_PAGES) -> DataFrame:
     """(host, reference, constants) from columns host and html of all pages."""
 
@@ -389,7 +399,7 @@ def induce(pages: DataFrame, share: float = SHARE, min_pages: int = MIN_PAGES) -
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), *(pa.array(c, pa.int64()) for c in cols[1:])], ["host", "h", "n", "low", "high"])
 
     seen = (
-        pages.select("host", "html").join(hosts.select("host", "reference"), "host").select("host", "html", "reference")
+        pages.select("host", "html").join(_by_host(hosts.select("host", "reference")), "host").select("host", "html", "reference")
         .mapInArrow(slots, "host string, h long, n long, low long, high long")
         .groupBy("host", "h").agg(F.sum("n").alias("n"), F.min("low").alias("low"), F.max("high").alias("high"))
         .where((F.col("n") >= min_pages) & (F.col("low") < F.col("high")))
@@ -419,5 +429,5 @@ def extract(pages: DataFrame, id_col: str = "page_id", url: str = "url", page: s
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     kind = own.schema["page_id"].dataType.simpleString()
-    joined = own.join(wrappers, "host").select("page_id", "url", "html", "host", "reference", "constants")
+    joined = own.join(_by_host(wrappers), "host").select("page_id", "url", "html", "host", "reference", "constants")
     return joined.mapInArrow(read, f"page_id {kind}, url string, text string, n_chars long")
