@@ -66,8 +66,8 @@ def shards_for(rows: int, per_shard: int = 500_000, least: int = 16) -> int:
     return max(least, -(-rows // per_shard))
 
 
-def dense_positions(df: DataFrame, keys: list[str], order: list[Column], shards: int, name: str) -> DataFrame:
-    """Add `name`: 0, 1, 2, ... inside each group of `keys` (non-null columns).
+def dense_positions(df: DataFrame, keys: list[str], order: list[Column], shards: int, name: str, attach: DataFrame | None = None) -> DataFrame:
+    """Add `name`: 0, 1, 2, ... inside each group of `keys` (non-null columns); `attach` adds columns that depend on `keys`.
 
     A group is dealt to `shards` parts by hash, numbered inside each part, and
     shifted by the rows of the parts before. The rows are read twice, so give a
@@ -78,6 +78,8 @@ def dense_positions(df: DataFrame, keys: list[str], order: list[Column], shards:
     parts = dealt.groupBy(*keys, shard).agg(F.count(F.lit(1)).alias(f"{name}__n"))
     before = Window.partitionBy(*keys).orderBy(shard).rowsBetween(Window.unboundedPreceding, -1)
     offsets = parts.select(*keys, shard, F.coalesce(F.sum(f"{name}__n").over(before), F.lit(0)).alias(f"{name}__from"))
+    if attach is not None:  # joined to the parts, so that a hot group's rows never meet by its key
+        offsets = offsets.join(attach, keys)
     inside = Window.partitionBy(*keys, shard).orderBy(*order)
     return (
         dealt.withColumn(name, F.row_number().over(inside) - 1)

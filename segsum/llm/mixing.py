@@ -148,10 +148,10 @@ def mix(
     settled = rounded.join(picks, ["key", "size"], "left").select(
         "key", "size", "n", (F.col("copies") + F.coalesce("change", F.lit(0))).alias("copies")
     )
-    numbered = dense_positions(base.where(F.col("size") > 0), ["key", "size"], [F.xxhash64("doc_id"), F.col("doc_id")], shards_for(rows), "pos")
+    numbered = dense_positions(base.where(F.col("size") > 0), ["key", "size"], [F.xxhash64("doc_id"), F.col("doc_id")], shards_for(rows), "pos", settled)
     each = F.floor(F.col("copies") / F.col("n")).cast("long")
     own = (each + (F.col("pos") < F.col("copies") - each * F.col("n")).cast("long")).alias("copies")
-    placed = numbered.join(settled, ["key", "size"]).select("doc_id", "key", "size", own)
+    placed = numbered.select("doc_id", "key", "size", own)
     empty = base.where(F.col("size") == 0).select("doc_id", "key", "size", F.lit(0).cast("long").alias("copies"))
     return (
         placed.union(empty)
