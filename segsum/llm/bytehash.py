@@ -69,6 +69,17 @@ def text_buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[at[0]:at[-1]], at - at[0]
 
 
+def text_slices(column: pa.Array, limit: int = 2 << 20) -> list[tuple[int, int]]:
+    """Row ranges (begin, length) of at most `limit` bytes of text each, or of one text, so that work arrays stay small."""
+    _, at = text_buffer(column)
+    out, i = [], 0
+    while i < len(column):
+        j = max(i + 1, int(np.searchsorted(at, at[i] + limit, side="right")) - 1)
+        out.append((i, j - i))
+        i = j
+    return out
+
+
 def word_spans(raw: np.ndarray, at: np.ndarray, blank: np.ndarray = _BLANK) -> tuple[np.ndarray, np.ndarray]:
     """Begin and end of every word; none runs over the border of a text."""
     solid = ~blank[raw]

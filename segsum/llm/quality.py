@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bytehash import owners, text_buffer, word_hashes, word_spans
+from .bytehash import owners, text_buffer, text_slices, word_hashes, word_spans
 from .common import held_out, ship
 from .labelled import training_rows
 
@@ -73,6 +73,11 @@ def _runs(owner: np.ndarray, key: np.ndarray, texts: int) -> tuple[np.ndarray, n
 
 def features(column: pa.Array) -> np.ndarray:
     """(texts, len(FEATURES)); every rate is a share, every size a logarithm."""
+    parts = [_features(column.slice(i, n)) for i, n in text_slices(column)]
+    return np.concatenate(parts) if parts else np.empty((0, len(FEATURES)))
+
+
+def _features(column: pa.Array) -> np.ndarray:
     raw, at = text_buffer(column)
     n = len(at) - 1
     size = np.diff(at).astype(float)
