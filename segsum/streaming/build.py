@@ -1,0 +1,107 @@
+"""Summaries of segments as they arrive.
+
+Sealed segments come from a watermarked window aggregate; the error carried
+between the segments of a block is state. Replaying all files gives what the
+batch build gives.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql.streaming.query import StreamingQuery
+
+from ..functions.kernels import FreqCompensator
+from ..operators.segment import block_of
+
+
+def sealed_counts(stream: DataFrame, t_col: str, item_col: str, seconds: int, origin: str = "1970-01-01", delay: str = "1 hour", id_col: str | None = None) -> DataFrame:
+    """(seg, item, cnt, end), in append mode once the watermark has passed the segment's end. Rows behind the watermark are dropped by the engine; `late_rows` routes them aside. With `id_col`, repeated deliveries count once."""
+    rows = stream.withColumn("__t", F.col(t_col).cast("timestamp")).withWatermark("__t", delay)
+    if id_col:
+        rows = rows.dropDuplicatesWithinWatermark([id_col])
+    win = F.window("__t", f"{seconds} seconds")
+    sealed = rows.groupBy(win.alias("win"), F.col(item_col).alias("item")).agg(F.count(F.lit(1)).alias("cnt"))
+    start = F.unix_seconds(F.lit(origin).cast("timestamp"))
+    seg = F.floor((F.unix_seconds("win.start") - start) / F.lit(seconds)).cast("long")
+    return sealed.where(F.col("item").isNotNull()).select(seg.alias("seg"), "item", "cnt", F.col("win.end").alias("end"))
+
+
+def late_rows(batch: DataFrame, t_col: str, sealed_to: int, seconds: int, origin: str) -> DataFrame:
+    """Rows of a micro-batch whose segment is sealed: stored exactly as correction segments, they are added at query time."""
+    micros = F.expr(f"timestampdiff(MICROSECOND, timestamp_ntz'{origin}', `{t_col}`)")
+    return batch.withColumn("seg", F.floor(micros / F.lit(seconds * 1_000_000)).cast("long")).where(F.col("seg") < sealed_to)
+
+
+class _Carry(StatefulProcessor):
+    """Undercounts of a block as state; emits the summaries of the segments that a trigger seals, in order."""
+
+    def __init__(self, s: int, k_t: int, r: float, threshold: str, item: str):
+        self.s, self.k_t, self.r, self.threshold, self.item = s, k_t, r, threshold, item
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.owed = handle.getMapState("owed", f"item {self.item}", "eps double")
+        self.done = handle.getValueState("done", "seg long")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timer: object) -> Iterator[pd.DataFrame]:
+        pdf = pd.concat(list(rows))
+        state = FreqCompensator(self.s, self.r, self.threshold)
+        known = [(k[0], v[0]) for k, v in self.owed.iterator()]
+        if known:
+            state.items = np.empty(len(known), dtype=object)
+            state.items[:] = [k for k, _ in known]
+            state.owed = np.array([v for _, v in known])
+            state.place = {k: i for i, (k, _) in enumerate(known)}
+        last = self.done.get()[0] if self.done.exists() else -1
+        for seg, part in pdf.sort_values(["seg", "item"]).groupby("seg"):
+            if seg <= last:
+                raise ValueError("a sealed segment came twice")
+            items, w = state.add(part["item"].tolist(), part["cnt"].to_numpy())
+            yield pd.DataFrame({"block": key[0], "seg": seg, "item": items, "w": w})
+            last = int(seg)
+        for x, i in state.place.items():
+            self.owed.updateValue((x,), (float(state.owed[i]),))
+        self.done.update((last,))
+        if last == (key[0] + 1) * self.k_t - 1:
+            self.owed.clear()
+
+    def close(self) -> None:
+        pass
+
+
+def compensated_stream(sealed: DataFrame, s: int, k_t: int, r: float = 1.0, threshold: str = "peel") -> DataFrame:
+    """(block, seg, item, w) of sealed counts, the state kept per block. Needs the RocksDB state store."""
+    kind = sealed.schema["item"].dataType.simpleString()
+    rows = sealed.select(block_of(F.col("seg"), k_t).alias("block"), "seg", "item", "cnt")
+    return rows.groupBy("block").transformWithStateInPandas(
+        _Carry(s, k_t, r, threshold, kind), f"block long, seg long, item {kind}, w double", "Append", "None"
+    )
+
+
+def run_once(stream: DataFrame, sink: Callable[[DataFrame, int], None], checkpoint: str) -> StreamingQuery:
+    """Work off what is there and stop; `sink` gets each micro-batch with its number and must be idempotent by it."""
+    q = stream.writeStream.foreachBatch(sink).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return q
+
+
+def parquet_sink(path: str) -> Callable[[DataFrame, int], None]:
+    """Overwrites the folder of its batch number, so a repeated batch leaves one copy."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return write
+
+
+def session_bounds(rows: DataFrame, key: str, t_col: str, gap: str, seconds: int, origin: str) -> DataFrame:
+    """(key, lo, hi): sessions as whole segments, to be answered from stored summaries."""
+    win = F.session_window(F.col(t_col).cast("timestamp"), gap)
+    s = rows.groupBy(F.col(key).alias("key"), win.alias("win")).agg(F.count(F.lit(1)).alias("n"))
+    start = F.unix_seconds(F.lit(origin).cast("timestamp"))
+    return s.select("key", F.floor((F.unix_seconds("win.start") - start) / seconds).cast("long").alias("lo"), F.ceil((F.unix_seconds("win.end") - start) / seconds).cast("long").alias("hi"), "n")
