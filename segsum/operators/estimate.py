@@ -78,7 +78,7 @@ def accumulate_values(summary: DataFrame, where: Column, size: int, seed: int =
 
     kind = rows.schema["item"].dataType.simpleString()
     schema = f"item {kind}, w double"
-    return rows.mapInPandas(run, schema).repartition(1).sortWithinPartitions("item", "w").mapInPandas(run, schema)
+    return rows.mapInPandas(run, schema).repartition(1).sortWithinPartitions("item", "w").mapInPandas(run, schema).groupBy("item").agg(F.sum("w").alias("w"))
 
 
 def accumulate_sampled(summary: DataFrame, where: Column, size: int, seed: int = 7) -> DataFrame:
