@@ -124,13 +124,18 @@ def test_additive_tables_find_an_interaction():
 def test_kneser_ney_levels_are_distributions():
     rng = np.random.default_rng(1)
     words = rng.integers(1, 40, 4000).astype(np.uint32)
-    owner = np.repeat(np.arange(40), 100)
-    c = toxicity._Counts.of(words, (words // 5).astype(np.uint32), owner)
-    both = c.prefix_types / c.prefix_types.sum()
-    assert np.isclose(c.low(c.prefix, both).sum(), 1)
+    begin = lambda w: np.stack([w // 10, w // 5]).astype(np.uint32)
+    c = toxicity._Counts.of(words, begin(words), np.repeat(np.arange(40), 100))
+    share = c.prefix_types[0] / len(c.words)
+    assert np.isclose(c.low(c.prefix[:1], share).sum(), 1)
     vocabulary = np.arange(1, 40, dtype=np.uint32)
-    low = c.low((vocabulary // 5).astype(np.uint32), both[np.searchsorted(c.prefix, vocabulary // 5)])
-    per = low / np.bincount(vocabulary // 5)[vocabulary // 5]
+    of = share[np.searchsorted(c.prefix[0], vocabulary // 10)]
+    pairs = np.unique(begin(vocabulary), axis=1)
+    low = c.low(pairs, share[np.searchsorted(c.prefix[0], pairs[0])])
+    parts = np.bincount(pairs[0])[pairs[0]]  # a shorter beginning is shared out among the longer ones
+    own = np.maximum(c.prefix_types[1] - toxicity.DISCOUNT, 0) / len(c.words)
+    assert np.isclose((own + (low - own) / parts).sum(), 1)
+    per = c.low(begin(vocabulary)[:1], of) / np.bincount(vocabulary // 10)[vocabulary // 10]
     mid = c.mid(vocabulary, per)
     assert np.isclose(mid.sum(), 1)
     assert np.isclose(c.high(np.full(39, 7, np.uint32), vocabulary, mid).sum(), 1)
