@@ -60,6 +60,7 @@ def _newton(cells: DataFrame, state: DataFrame, cap: float) -> DataFrame:
     lo = F.when(F.col("f") < F.col("target"), lam).otherwise(F.col("lo"))
     hi = F.when(F.col("f") < F.col("target"), F.col("hi")).otherwise(lam)
     step = lam - F.try_divide(F.col("f") - F.col("target"), F.col("slope"))
+    met = F.abs(F.col("f") - F.col("target")) <= 1e-9 * F.col("target")
     good = F.coalesce((F.col("slope") > 0) & (step > lo) & (step < hi), F.lit(False))
     return (
         cells.join(state, "key")
@@ -68,7 +69,7 @@ def _newton(cells: DataFrame, state: DataFrame, cap: float) -> DataFrame:
             F.sum(words * F.least(F.lit(float(cap)), tilt)).alias("f"),
             F.sum(F.when(tilt < cap, words * x * tilt).otherwise(0.0)).alias("slope"),
         )
-        .select("key", "target", F.when(good, step).otherwise((lo + hi) / 2).alias("lam"), lo.alias("lo"), hi.alias("hi"), "f")
+        .select("key", "target", F.when(met, lam).when(good, step).otherwise((lo + hi) / 2).alias("lam"), lo.alias("lo"), hi.alias("hi"), "f", lam.alias("at"))
     )
 
 
@@ -88,12 +89,12 @@ def tilted_rates(cells: DataFrame, targets: DataFrame, cap: float = CAP) -> Data
     )
     for _ in range(ROUNDS):
         for _ in range(STEPS):
-            state = _newton(cells, state.drop("f"), cap)
+            state = _newton(cells, state.drop("f", "at"), cap)
         state = cut(state)
         off = state.agg(F.max(F.abs(F.col("f") / F.col("target") - 1))).first()[0]
         if off is None or off < 1e-6:
             break
-    return state.select("key", "target", "lam")
+    return state.select("key", "target", F.col("at").alias("lam"))  # the multiplier whose words were counted
 
 
 def _fix(cells: DataFrame, state: DataFrame) -> DataFrame:

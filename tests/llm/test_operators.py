@@ -182,6 +182,18 @@ def test_mix_rates_solve_the_dual(spark):
         assert abs(copies.sum() - rate.sum()) <= 12 and abs((copies * own).sum() - t) <= 0.01 * t + 2
 
 
+def test_a_met_target_stays_met(spark):
+    """A count that meets the target, or is over it by rounding, must not send the multiplier back to the middle of its bracket."""
+    cells = spark.createDataFrame([("a", s, 3, s / 50) for s in range(1, 100)], "key string, size long, n long, x double")
+    targets = spark.createDataFrame([("a", 9000.0)], "key string, target double")
+    lam = mixing.tilted_rates(cells, targets).first()["lam"]
+    words = lambda t: sum(3 * s * min(2.0, np.exp(t * s / 50)) for s in range(1, 100))
+    assert abs(words(lam) / 9000 - 1) < 1e-6
+    for over in (0.0, 1e-13, -1e-13):
+        state = spark.createDataFrame([("a", words(lam) * (1 + over), lam, -100.0, 50.0)], "key string, target double, lam double, lo double, hi double")
+        assert abs(mixing._newton(cells, state, 2).first()["lam"] - lam) < 1e-9
+
+
 def test_mix_takes_odd_input(spark):
     docs = odd_documents(spark)
     rows = mixing.mix(docs).collect()
