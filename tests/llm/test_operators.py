@@ -190,7 +190,7 @@ def test_a_met_target_stays_met(spark):
     words = lambda t: sum(3 * s * min(2.0, np.exp(t * s / 50)) for s in range(1, 100))
     assert abs(words(lam) / 9000 - 1) < 1e-6
     for over in (0.0, 1e-13, -1e-13):
-        state = spark.createDataFrame([("a", words(lam) * (1 + over), lam, -100.0, 50.0)], "key string, target double, lam double, lo double, hi double")
+        state = spark.createDataFrame([("a", float(words(lam) * (1 + over)), lam, -100.0, 50.0)], "key string, target double, lam double, lo double, hi double")
         assert abs(mixing._newton(cells, state, 2).first()["lam"] - lam) < 1e-9
 
 
