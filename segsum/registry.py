@@ -146,6 +146,16 @@ FLOORED = (
     "FROM (SELECT seg, pow(alpha, 1 / 3::DOUBLE) AS wt FROM im) WINDOW by_weight AS (ORDER BY wt DESC, seg)), "
     "level AS (SELECT max_by(rate, j) AS rate FROM (SELECT j, wt, (11 * cells - 9 * (cells - j)) / upto AS rate FROM ranked) WHERE wt * rate >= 9)"
 )
+PIECES = (
+    "vc AS (SELECT seg, item, count(*)::BIGINT AS cnt FROM rows JOIN cells USING (l_returnflag, l_linestatus, o_orderstatus, o_orderpriority) GROUP BY 1, 2), lv AS (SELECT seg, cnt::DOUBLE AS a, count(*)::BIGINT AS k FROM vc GROUP BY 1, 2 UNION ALL SELECT DISTINCT seg, 0::DOUBLE, 0::BIGINT FROM vc), "
+    "pc AS (SELECT seg, a, coalesce(lead(a) OVER (PARTITION BY seg ORDER BY a), -1)::DOUBLE AS a2, coalesce(sum(k) OVER w, 0)::BIGINT AS c, coalesce(sum(k * a) OVER w, 0)::DOUBLE AS rest FROM lv WINDOW w AS (PARTITION BY seg ORDER BY a DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))"
+)
+_PULL = "min(CASE WHEN (rest - c * a) * c <= lam * 121 THEN a WHEN (rest - c * CASE WHEN a2 < 0 THEN a ELSE a2 END) * c <= lam * 121 THEN (rest - lam * 121 / c) / c END)"
+BIASES = (
+    "halved AS (SELECT 0 AS i, 0::DOUBLE AS lo, (SELECT 4 * sum(m) + 1e-9::DOUBLE FROM (SELECT max(a) AS m FROM pc GROUP BY seg)) AS hi UNION ALL "
+    "SELECT i + 1, CASE WHEN 4 * total >= lam THEN lam ELSE lo END, CASE WHEN 4 * total >= lam THEN hi ELSE lam END FROM (SELECT i, lo, hi, lam, sum(b) AS total FROM "
+    f"(SELECT i, lo, hi, lam, seg, {_PULL} AS b FROM (SELECT i, lo, hi, (lo + hi) / 2 AS lam FROM halved WHERE i < 60), pc GROUP BY i, lo, hi, lam, seg) GROUP BY i, lo, hi, lam))"
+)
 
 
 def chosen(s: SparkSession, d: str) -> DataFrame:
@@ -206,7 +216,7 @@ def _pieces(s: SparkSession, d: str) -> DataFrame:
 
 def _bias(s: SparkSession, d: str) -> DataFrame:
     counts, cells, _ = smoke(s, d)
-    return r6(cu.fit_bias(counts, cells.select("seg", F.lit(11).cast("long").alias("s"))), "b")
+    return r6(cu.fit_bias(counts, cells.select("seg", F.lit(11).cast("long").alias("s")), rounds=10), "b")
 
 
 def _cube_built(s: SparkSession, d: str) -> DataFrame:
@@ -343,8 +353,8 @@ QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]]
     "allocate_floor": (_floor, f"WITH {CELLS}, {MASKED}, {FLOORED} SELECT seg, round(greatest(9::DOUBLE, wt * rate), 6) AS share FROM ranked, level"),
     "round_sizes": (_sizes, f"WITH {CELLS}, {MASKED}, {_shares('pow(alpha, 1 / 3::DOUBLE)')}, {_ROUND} SELECT seg, s FROM sz"),
     "msre_bound": (_msre, f"WITH {CELLS}, {MASKED}, t AS (SELECT qkey, sum(pow(n / 11::DOUBLE, 2)) AS spread FROM mk GROUP BY 1) SELECT round(sum(q * spread / 4 / (size * size)), 6) AS msre FROM t JOIN qw USING (qkey)"),
-    "bias_pieces": (_pieces, f"WITH {CELLS}, vc AS (SELECT seg, item, count(*)::BIGINT AS cnt FROM rows JOIN cells USING (l_returnflag, l_linestatus, o_orderstatus, o_orderpriority) GROUP BY 1, 2), lv AS (SELECT seg, cnt::DOUBLE AS a, count(*)::BIGINT AS k FROM vc GROUP BY 1, 2 UNION ALL SELECT DISTINCT seg, 0::DOUBLE, 0::BIGINT FROM vc) SELECT seg, a, coalesce(lead(a) OVER (PARTITION BY seg ORDER BY a), -1)::DOUBLE AS a2, coalesce(sum(k) OVER w, 0)::BIGINT AS c, coalesce(sum(k * a) OVER w, 0)::DOUBLE AS rest FROM lv WINDOW w AS (PARTITION BY seg ORDER BY a DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)"),
-    "fit_bias": (_bias, None),
+    "bias_pieces": (_pieces, f"WITH {CELLS}, {PIECES} SELECT * FROM pc"),
+    "fit_bias": (_bias, f"WITH RECURSIVE {CELLS}, {PIECES}, {BIASES} SELECT seg, round({_PULL}, 6) AS b FROM pc, (SELECT (lo + hi) / 2 AS lam FROM halved WHERE i = 60) GROUP BY seg"),
     "cube_built": (_cube_built, None),
     "count_min_build": (lambda s, d: bl.count_min(supp(s, d), S), f"WITH {VC} SELECT seg, row::INT AS row, (('0x' || substr(md5('1|' || row || '|' || item), 1, 8))::BIGINT % {S})::INT AS bucket, sum(cnt)::BIGINT AS w FROM vc, (SELECT unnest(generate_series(0, 4)) AS row) GROUP BY 1, 2, 3"),
     "count_min_estimate": (_native_merge, f"WITH {VC}, {ITEMS}, t AS (SELECT row, (('0x' || substr(md5('1|' || row || '|' || item), 1, 8))::BIGINT % {S}) AS bucket, sum(cnt) AS w FROM vc, (SELECT unnest(generate_series(0, 4)) AS row) WHERE seg >= {LO} AND seg < {HI} GROUP BY 1, 2) SELECT item, min(coalesce(w, 0))::DOUBLE AS w FROM (SELECT item, row, (('0x' || substr(md5('1|' || row || '|' || item), 1, 8))::BIGINT % {S}) AS bucket FROM it, (SELECT unnest(generate_series(0, 4)) AS row)) LEFT JOIN t USING (row, bucket) GROUP BY 1"),
