@@ -1,0 +1,161 @@
+"""Near copies by the shingles that two texts share: Jaccard similarity of their sets of five-word shingles.
+
+MinHash bands only propose pairs; each pair is then confirmed on the whole sets,
+so no link rests on an estimate. A pair at similarity .8 shares none of the
+BANDS bands of ROWS values with probability (1 - .8^5)^30 = 7e-6, a closer pair
+with less. Texts with equal sets are one node. In each bucket all members are
+first compared with the least one; then only members that are still in different
+components meet, so a large group of copies costs comparisons in proportion to
+its size. Members of a bucket that are no copies of each other do meet in pairs.
+
+Defined cases: words are those of the fingerprints; a text of fewer than five
+words is one shingle; null and empty texts are copies of each other; an empty
+table gives an empty result; rows without an id stay.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import connected_components, cut
+
+WIDTH = 5
+SIMILARITY = 0.8
+BANDS = 30
+ROWS = 5
+STEP = 2048
+SLICE = 256
+
+_rng = np.random.default_rng(20_240_511)
+_FLIP = _rng.integers(0, 1 << 63, (BANDS * ROWS, 1), dtype=np.uint64)
+_ODD = _rng.integers(0, 1 << 63, (BANDS * ROWS, 1), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
+    """Sorted distinct XXH64 of all shingles."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    joined = b" ".join(words)
+    ends = np.cumsum([len(w) + 1 for w in words]) - 1
+    starts = (ends - [len(w) for w in words]).tolist()
+    last = max(0, len(words) - width)
+    digest = xxhash.xxh64_intdigest
+    spans = zip(starts[: last + 1], ends[min(width, len(words)) - 1:].tolist(), strict=True)
+    return np.unique(np.fromiter((digest(joined[s:e]) for s, e in spans), np.uint64, last + 1))
+
+
+def band_keys(hashes: np.ndarray) -> list[int]:
+    """One signed key per band, none for an empty set."""
+    if not len(hashes):
+        return []
+    least = np.full(len(_ODD), np.iinfo(np.uint64).max)
+    for i in range(0, len(hashes), STEP):
+        mixed = hashes[None, i:i + STEP] ^ _FLIP
+        mixed *= _ODD
+        np.minimum(least, mixed.min(axis=1), out=least)
+    raw = least.reshape(BANDS, ROWS)
+    return [_signed(xxhash.xxh64_intdigest(raw[b].tobytes(), b)) for b in range(BANDS)]
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for i in range(0, len(batch), SLICE):
+            yield batch.slice(i, SLICE)
+
+
+def _nodes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(doc_id, t, node, bands) per row; t tells rows of one id apart, node is the hash of the set."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _slices(batches):
+            nodes, bands = [], []
+            for x in batch.column(2):  # one set at a time: kept sets pin the pages between them
+                hashes = shingles(x.as_py())
+                nodes.append(_signed(xxhash.xxh64_intdigest(hashes.tobytes())))
+                bands.append(band_keys(hashes))
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(1), pa.array(nodes, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "t", "node", "bands"],
+            )
+
+    return _keyed(docs, id_col, text_col).mapInArrow(run, "doc_id long, t long, node long, bands array<long>")
+
+
+def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("t"), F.col(text_col).alias("text"))
+
+
+def _sets(texts: DataFrame) -> DataFrame:
+    """(node, hashes) of (node, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _slices(batches):
+            blobs = [shingles(x.as_py()).tobytes() for x in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(blobs, pa.binary())], ["node", "hashes"])
+
+    return texts.select("node", "text").mapInArrow(run, "node long, hashes binary")
+
+
+def _confirmed(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose sets reach the similarity."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2), batch.column(3), strict=True):
+                p, q = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
+                if min(len(p), len(q)) < similarity * max(len(p), len(q)) - 1e-9:
+                    keep.append(False)
+                    continue
+                both = len(np.intersect1d(p, q, assume_unique=True))
+                keep.append(both >= similarity * (len(p) + len(q) - both) - 1e-9)
+            kept = batch.filter(pa.array(keep, pa.bool_()))
+            yield pa.RecordBatch.from_arrays([kept.column(0), kept.column(1)], ["a", "b"])
+
+    first = sets.select(F.col("node").alias("a"), F.col("hashes").alias("x"))
+    second = sets.select(F.col("node").alias("b"), F.col("hashes").alias("y"))
+    return pairs.join(first, "a").join(second, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+
+
+def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
+    """(doc_id, t, root) per row; rows of one root are linked by pairs that reach `similarity`."""
+    own = cut(_nodes(docs, id_col, text_col))
+    nodes = own.groupBy("node").agg(F.min(F.struct("doc_id", "t")).alias("row"), F.first("bands").alias("bands"))
+    members = nodes.select("node", F.explode("bands").alias("key"))
+    least = members.groupBy("key").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a < z").select("key", "a")
+    shared = cut(members.join(least, "key"))
+    pairs = cut(shared.where("node <> a").select("a", F.col("node").alias("b")).distinct())
+    wanted = nodes.join(shared.select("node").distinct(), "node").select("node", "row.doc_id", "row.t")
+    texts = _keyed(docs, id_col, text_col).join(wanted, ["doc_id", "t"]).groupBy("node").agg(F.min("text").alias("text"))
+    sets = cut(_sets(texts))
+    links = cut(_confirmed(pairs, sets, similarity))
+
+    parts = connected_components(links)
+    placed = shared.join(parts, "node", "left").select("key", "node", F.coalesce("root", "node").alias("r"))
+    sizes = placed.groupBy("key", "r").agg(F.count(F.lit(1)).alias("n"))
+    mixed = sizes.groupBy("key").agg(F.max_by("r", F.struct("n", "r")).alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    apart = cut(placed.join(mixed.select("key", "main"), "key"))
+    few = apart.where("r <> main").select("key", F.col("node").alias("u"), F.col("r").alias("ru"))
+    crossing = few.join(apart, "key").where((F.col("ru") != F.col("r")) & ((F.col("r") == F.col("main")) | (F.col("u") < F.col("node"))))
+    more = crossing.select(F.least("u", "node").alias("a"), F.greatest("u", "node").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti")
+    parts = connected_components(links.unionByName(_confirmed(more, sets, similarity)))
+    return own.join(parts, "node", "left").select("doc_id", "t", F.coalesce("root", "node").alias("root"))
+
+
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
+    """One row of each component stays, with all its columns: that of the least id, then of the least hash of its text."""
+    found = near_copies(docs.where(F.col(id_col).isNotNull()), id_col, text_col, similarity)
+    keep = found.groupBy("root").agg(F.min(F.struct("doc_id", "t")).alias("row")).select(F.col("row.doc_id").alias("__kept_id"), F.col("row.t").alias("__kept_t"))
+    at = (F.col(id_col).cast("long") == F.col("__kept_id")) & (F.xxhash64(text_col) == F.col("__kept_t"))
+    kept = docs.join(keep, at).dropDuplicates(["__kept_id", "__kept_t"]).drop("__kept_id", "__kept_t")
+    return kept.unionByName(docs.where(F.col(id_col).isNull()))
