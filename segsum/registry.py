@@ -229,10 +229,20 @@ def _cube_pps(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     return pps(counts, 11), cells
 
 
-def _by_group(s: SparkSession, d: str) -> DataFrame:
+def _by_group_all(s: SparkSession, d: str) -> DataFrame:
     summary, cells = _cube_pps(s, d)
-    out = es.estimate_groupby(summary, cells, ["l_returnflag"], F.col("o_orderstatus") == "F")
-    return r6(out.where(F.col("item") <= 10), "est")
+    return r6(es.estimate_groupby(summary, cells, ["l_returnflag"], F.col("o_orderstatus") == "F"), "est")
+
+
+def _by_group(s: SparkSession, d: str) -> DataFrame:
+    return _by_group_all(s, d).where(F.col("item") <= 10)
+
+
+def _heavy_headers(s: SparkSession, d: str) -> DataFrame:
+    """Heavy hitters against the number of rows that the headers of the range give."""
+    n = sg.segment_header(supp(s, d)).where(span()).agg(F.sum("n").alias("n_rows"))
+    acc = es.accumulate(bl.truncate_freq(supp(s, d), S), span())
+    return acc.crossJoin(F.broadcast(n)).where(F.col("w") >= F.lit(0.004) * F.col("n_rows")).select("item", "w")
 
 
 def _batch_cube(s: SparkSession, d: str) -> DataFrame:
@@ -252,20 +262,24 @@ def _kll_merge(s: SparkSession, d: str) -> DataFrame:
     return m.select("n", F.kll_sketch_get_quantile_double("sketch", at).alias("values"))
 
 
-def _error_truncate(s: SparkSession, d: str) -> DataFrame:
+def ten_probes(s: SparkSession) -> DataFrame:
+    return s.createDataFrame([(i - 1, i) for i in range(1, 11)], "g int, item long")
+
+
+def _error_truncate(s: SparkSession, d: str, drawn: bool = False) -> DataFrame:
     counts = supp(s, d)
     asked = s.createDataFrame([(0, 0, 50), (1, 20, 21), (2, 100, 228)], "qid long, lo long, hi long")
-    probes = s.createDataFrame([(i - 1, i) for i in range(1, 11)], "g int, item long")
+    probes = er.item_probes(counts) if drawn else ten_probes(s)
     truth = er.over_intervals(er.contributions(counts, probes, "freq", weight="cnt"), asked, probes)
     est = er.over_intervals(er.contributions(bl.truncate_freq(counts, S), probes, "freq"), asked, probes)
     n = counts.join(F.broadcast(asked), (F.col("seg") >= F.col("lo")) & (F.col("seg") < F.col("hi"))).groupBy("qid").agg(F.sum("cnt").alias("n"))
     return r6(er.max_errors(truth, est, n), "err")
 
 
-def _error_cube(s: SparkSession, d: str) -> DataFrame:
+def _error_cube(s: SparkSession, d: str, drawn: bool = False) -> DataFrame:
     counts, cells, dims = smoke(s, d)
     asked = s.createDataFrame([(0, "*|*|*|*"), (1, "=A|*|*|*"), (2, "*|=O|*|=1-URGENT")], "qid long, qkey string")
-    probes = s.createDataFrame([(i - 1, i) for i in range(1, 11)], "g int, item long")
+    probes = er.item_probes(counts) if drawn else ten_probes(s)
     m = cu.cells_of(asked, cells, dims)
     both = [er.over_cells(er.contributions(x, probes, "freq", weight=w), m, probes) for x, w in ((counts, "cnt"), (pps(counts, 11), "w"))]
     return r6(er.max_errors(*both, m.groupBy("qid").agg(F.sum("n").alias("n"))), "err")
@@ -389,4 +403,12 @@ QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]]
     "session_bounds": (_sessions, None),
     "micro_segment": (_adversary, None),
 }
+#: The same over all items, rows and probes; the entries above keep the lists that their SQL fixes.
+_DRAWN = "it AS (SELECT item FROM (SELECT item, sum(cnt) AS c FROM vc GROUP BY 1) ORDER BY ln(" + uniform_sql(3, "item") + " + 1 / 4294967296.0::DOUBLE) / c DESC, item LIMIT 200)"
+QUERIES |= {
+    "estimate_groupby_all": (_by_group_all, QUERIES["estimate_groupby"][1].replace(" AND item <= 10", "")),
+    "error_interval_truncate_drawn": (lambda s, d: _error_truncate(s, d, True), QUERIES["error_interval_truncate"][1].replace(ITEMS, _DRAWN)),
+    "error_cube_pps_drawn": (lambda s, d: _error_cube(s, d, True), QUERIES["error_cube_pps"][1].replace(ITEMS, _DRAWN)),
+    "acc_heavy_headers": (_heavy_headers, f"WITH {VC}, {TRUNC} SELECT item, sum(w) AS w FROM tr WHERE seg >= {LO} AND seg < {HI} GROUP BY 1 HAVING sum(w) >= 0.004::DOUBLE * (SELECT sum(cnt) FROM vc WHERE seg >= {LO} AND seg < {HI})"),
+}
 QUERIES |= RELATIONAL | {k: (f, None) for k, f in EXPERIMENTS.items()}
