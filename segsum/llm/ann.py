@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .common import cut
-from .vectors import matrix, stacked, usable
+from .vectors import common_size, matrix, stacked, usable
 
 K = 20
 FIT_ROWS = 8_192
@@ -114,7 +114,7 @@ def nearest(
     """(query_id, rank, vec_id, score): the `k` largest inner products of each row that the condition `queries` picks, against every other row."""
     out = "query_id long, rank int, vec_id long, score double"
     own = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector).alias("embedding"), F.coalesce(queries, F.lit(False)).alias("asks"))
-    dim = own.agg(F.max(F.size("embedding"))).first()[0] or 0
+    dim = common_size(own.where(F.col("vec_id").isNotNull()), "embedding")
     if dim <= 0:
         return own.sparkSession.createDataFrame([], out)
     own = own.where(F.col("vec_id").isNotNull() & usable("embedding", dim))

@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from .common import connected_components, cut
 from .simhash import _roots
-from .vectors import matrix, stacked, usable
+from .vectors import common_size, matrix, stacked, usable
 
 THRESHOLD = 0.98
 TILE = 4096
@@ -85,7 +85,7 @@ def near_duplicates(
 ) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row."""
     own = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector).alias("embedding"), F.col(label).alias("label"))
-    dim = own.agg(F.max(F.size("embedding"))).first()[0] or 0
+    dim = common_size(own.where(F.col("label").isNotNull() & F.col("vec_id").isNotNull()), "embedding")
     fit = usable("embedding", dim) & F.col("label").isNotNull() & F.col("vec_id").isNotNull() if dim > 0 else F.lit(False)
     key = [F.xxhash64("label", "embedding").alias("k1"), F.xxhash64(F.lit(7), "embedding", "label").alias("k2")]
     points = cut(
