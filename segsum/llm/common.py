@@ -125,6 +125,18 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFr
     return stars.select(u.alias("node"), v.alias("root")).union(stars.select(v, v)).distinct()
 
 
+def component_least(parts: DataFrame, least: DataFrame, salts: int = 16) -> DataFrame:
+    """(node, least): the smallest `least` (node, least) of each linked node's component.
+
+    A component may hold a third of all nodes, so the answer goes back to its
+    members by parts of the component, not by its root alone.
+    """
+    linked = parts.join(least, "node")
+    best = linked.groupBy("root").agg(F.min("least").alias("least"))
+    spread = best.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return linked.select("node", "root", F.pmod(F.xxhash64("node"), F.lit(salts)).cast("int").alias("salt")).join(spread, ["root", "salt"]).select("node", "least")
+
+
 def ship(spark: SparkSession, model: object) -> Broadcast:
     """Broadcast a fitted model of bounded size, with its code, as bytes for pickle.loads."""
     return spark.sparkContext.broadcast(cloudpickle.dumps(model))

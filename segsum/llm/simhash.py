@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, cut
+from .common import component_least, connected_components, cut
 
 BITS = 64
 SHINGLE = 4
@@ -220,21 +220,8 @@ def near_duplicates(
     own = cut(fingerprints(docs, id_col, text_col, width))
     distinct = cut(own.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
     links = hamming_links(distinct.select("fp"), distinct.count(), radius)
-    parts = connected_components(links)
-    member = distinct.join(parts, distinct.fp == parts.node, "left").select(
-        "fp", F.coalesce("root", "fp").alias("root"), "least_id"
-    )
-    named = member.join(
-        member.groupBy("root").agg(F.min("least_id").alias("component_id")), "root"
-    ).select("fp", "component_id")
+    found = component_least(connected_components(links), distinct.select(F.col("fp").alias("node"), F.col("least_id").alias("least")))
+    named = distinct.join(found, distinct.fp == found.node, "left").select("fp", F.when(F.col("node").isNull(), F.col("least_id")).otherwise(F.col("least")).alias("component_id"))
     return own.join(named, "fp").select(
         "doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
-
-
-def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each component stays, with all its columns. A row without an id has nothing to be kept by and stays."""
-    found = near_duplicates(docs.where(F.col(id_col).isNotNull()), id_col, text_col)
-    keep = found.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("__kept_id")).distinct()
-    kept = docs.join(keep, docs[id_col] == F.col("__kept_id")).drop("__kept_id").dropDuplicates([id_col])
-    return kept.unionByName(docs.where(F.col(id_col).isNull()))

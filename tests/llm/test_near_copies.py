@@ -1,8 +1,12 @@
-from collections import Counter, defaultdict
-from itertools import combinations
+from collections import Counter
+
+import numpy as np
+import pyarrow as pa
+import pytest
 
 import corpus_pipeline as cp
-from segsum.llm import shingle_dedup
+from segsum.llm import simhash_wide as sw
+from segsum.llm.bytehash import mix
 
 
 def plain_set(text):
@@ -10,56 +14,108 @@ def plain_set(text):
     return frozenset(tuple(w[i:i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
 
 
-def plain_components(texts, similarity=0.8):
-    """Components of {key: text} by comparing all pairs that share a shingle."""
-    sets = {k: plain_set(t) for k, t in texts.items()}
-    parent = {k: k for k in texts}
+def plain_fingerprints(texts):
+    """Majority bits counted one by one over the shingle hashes."""
+    hashes, n = sw.shingle_hashes(pa.array(texts, pa.string()))
+    out, at = np.zeros((len(texts), sw.BITS // 64), np.uint64), 0
+    for i, k in enumerate(n.tolist()):
+        own, at = hashes[at:at + k], at + k
+        for w in range(out.shape[1] if k else 0):
+            x = mix(own + np.uint64((w + 1) * 0x9E3779B97F4A7C15 % (1 << 64)))
+            bits = [2 * int(((x >> np.uint64(b)) & np.uint64(1)).sum()) > k for b in range(64)]
+            out[i, w] = sum(1 << b for b, on in enumerate(bits) if on)
+    return out
+
+
+def plain_components(ids, fps, reach):
+    """Components of all pairs within reach, named by the least id."""
+    parent = list(range(len(ids)))
 
     def find(a):
         while parent[a] != a:
             a = parent[a]
         return a
 
-    holders, same = defaultdict(list), defaultdict(list)
-    for k, s in sets.items():
-        same[s].append(k)
-        for x in s:
-            holders[x].append(k)
-    shared = Counter(p for ks in holders.values() for p in combinations(sorted(ks), 2))
-    links = [(a, b) for (a, b), n in shared.items() if n >= similarity * len(sets[a] | sets[b])]
-    for a, b in links + [(ks[0], k) for ks in same.values() for k in ks]:
-        parent[find(b)] = find(a)
-    return {k: find(k) for k in texts}
+    for i in range(len(ids)):
+        for j in np.flatnonzero(np.bitwise_count(fps[i + 1:] ^ fps[i]).sum(axis=1) <= reach) + i + 1:
+            a, b = find(i), find(int(j))
+            parent[max(a, b)] = min(a, b)
+    return {ids[i]: ids[find(i)] for i in range(len(ids))}
 
 
 def as_groups(of):
-    out = defaultdict(set)
+    out = {}
     for k, c in of.items():
-        out[c].add(k)
+        out.setdefault(c, set()).add(k)
     return {frozenset(g) for g in out.values()}
 
 
-def test_stage_links_all_at_similarity(spark, medium):
+def test_shingles_are_those_of_the_words():
+    texts = ["A b c d e F", "a  b\tc d E f", "a b", None, "", "x", "a b c d e", "b a", " "]
+    hashes, n = sw.shingle_hashes(pa.array(texts))
+    assert n.tolist() == [2, 2, 1, 0, 0, 1, 1, 1, 0] and hashes[:2].tolist() == hashes[2:4].tolist() and len(set(hashes.tolist())) == 5
+
+
+@pytest.mark.parametrize("leaf", [sw.LEAF, 64])
+def test_forest_equals_all_pairs(spark, medium, leaf, monkeypatch):
+    monkeypatch.setattr(sw.wide_links, "__defaults__", (leaf, *sw.wide_links.__defaults__[1:]))
     docs = spark.read.parquet(f"{medium}/documents.parquet")
-    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
-    want = as_groups(plain_components(texts))
-    got = {r["doc_id"]: r["root"] for r in shingle_dedup.near_copies(docs).collect()}
-    assert as_groups(got) == want
-    kept = dict(cp.STAGES)["simhash_dedup"](spark, docs, medium)
-    assert kept.columns == docs.columns and sorted(r["doc_id"] for r in kept.collect()) == sorted(min(g) for g in want)
+    text = {r["doc_id"]: r["text"] for r in docs.collect()}
+    ids = sorted(text)
+    fps = plain_fingerprints([text[i] for i in ids])
+    got = {r["doc_id"]: r["root"] for r in sw.near_copies(docs).collect()}
+    assert as_groups(got) == as_groups(plain_components(ids, fps, sw.reach_of(0.8)))
 
 
-def test_chain_is_linked_without_its_least_member(spark):
-    """Each text shares .8 with the next only, so the least node of a bucket doesn't reach them all."""
+def test_similar_texts_are_found_and_others_left_alone(spark):
+    """Of texts that share four fifths of their shingles nearly all are linked, of those that share two thirds none."""
+    rng = np.random.default_rng(7)
+    rows, want = [], {}
+    for i in range(200):
+        words = [f"w{x}" for x in rng.integers(0, 10**6, 300)]
+        tail = {0: 33, 1: 60, 2: 0}[i % 3]  # J = .8, .67, 1 for the second of each pair
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(words[:300 - tail] + [f"v{x}" for x in rng.integers(0, 10**6, tail)]))]
+        want[i] = i % 3
+    got = {r["doc_id"]: r["root"] for r in sw.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    same = {k: [got[2 * i] == got[2 * i + 1] for i, v in want.items() if v == k] for k in (0, 1, 2)}
+    assert all(same[2]) and not any(same[1]) and np.mean(same[0]) > 0.8
+    assert len(set(got.values())) >= 400 - sum(map(sum, same.values()))
+
+
+def test_an_overfull_leaf_is_split_and_a_chain_stays_whole(spark):
+    """Each text shares .9 with the next only; a hundred variants of one text fill a leaf."""
     words = [f"w{i}" for i in range(400)]
-    rows = [(i, " ".join(words[i * 12:i * 12 + 204])) for i in range(10)] + [(99, " ".join(words[::-1]))]
-    got = {r["doc_id"]: r["root"] for r in shingle_dedup.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert as_groups(got) == as_groups(plain_components(dict(rows))) == {frozenset(range(10)), frozenset([99])}
+    chain = [(i, " ".join(words[i * 12:i * 12 + 204])) for i in range(10)]
+    copies = [(1000 + i, " ".join([*words[::-1][:300], f"x{i}"])) for i in range(100)]
+    df = spark.createDataFrame(chain + copies, "doc_id long, text string")
+    points = sw.wide_fingerprints(df).cache()
+    for leaf, tile in ((512, 8192), (8, 30)):
+        links = sw.wide_links(points, 110, sw.reach_of(0.8), leaf, tile).collect()
+        node = {r["node"]: r["doc_id"] for r in points.collect()}
+        parent = {i: i for i in node.values()}
+        for r in links:
+            a, b = node[r["a"]], node[r["b"]]
+            while parent[a] != a:
+                a = parent[a]
+            while parent[b] != b:
+                b = parent[b]
+            parent[max(a, b)] = min(a, b)
+        assert sum(1 for k, v in parent.items() if k == v) == 2
+        assert len(links) < 40 * 110  # no copy meets all others
 
 
 def test_stage_takes_odd_input(spark):
     rows = [(1, "a b c"), (2, None), (3, ""), (4, " \n"), (5, "A  b\tc"), (5, "x y z"), (6, "a b d"), (None, "a b c"), (6, "a b d")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    kept = Counter((r["doc_id"], r["text"]) for r in shingle_dedup.drop_near_copies(docs).collect())
-    assert kept in (Counter({(1, "a b c"): 1, (2, None): 1, (5, "x y z"): 1, (6, "a b d"): 1, (None, "a b c"): 1}),)
-    assert shingle_dedup.drop_near_copies(docs.limit(0)).count() == 0
+    for extra in ("node", "t", "fp", "root", "leaf", "row"):
+        docs = docs.withColumn(extra, docs.doc_id)
+    kept = Counter((r["doc_id"], r["text"]) for r in sw.drop_near_copies(docs).collect())
+    assert kept == Counter({(1, "a b c"): 1, (2, None): 1, (5, "x y z"): 1, (6, "a b d"): 1, (None, "a b c"): 1})
+    assert sw.drop_near_copies(docs).columns == docs.columns
+    assert sw.drop_near_copies(docs.limit(0)).count() == 0
+
+
+def test_stage_keeps_the_columns(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    kept = dict(cp.STAGES)["simhash_dedup"](spark, docs, small)
+    assert kept.columns == docs.columns and 0 < kept.count() <= docs.count()

@@ -3,7 +3,9 @@ from collections import Counter
 from pyspark.sql import functions as F
 
 import corpus_pipeline as cp
-from segsum.llm import line_dedup, mixing, simhash, toxicity
+from test_near_copies import plain_components, plain_fingerprints
+
+from segsum.llm import line_dedup, mixing, simhash_wide, toxicity
 
 
 def test_stages_take_effect(spark, medium, tmp_path):
@@ -33,8 +35,9 @@ def test_stages_take_effect(spark, medium, tmp_path):
         assert text[r["doc_id"]][1] == "\n".join(x for x in r["text"].split("\n") if x.strip(" \t\r\x0b\x0c") not in drop)
 
     before, after = kept["simhash_dedup"]
-    parts = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(before).collect()}
-    assert Counter(parts[r["doc_id"]] for r in after.collect()) == Counter(set(parts.values()))
+    text = {r["doc_id"]: r["text"] for r in before.collect()}
+    parts = plain_components(sorted(text), plain_fingerprints([text[i] for i in sorted(text)]), simhash_wide.reach_of(0.8))
+    assert sorted(r["doc_id"] for r in after.collect()) == sorted(set(parts.values()))
 
     before, after = kept["mixing"]
     copies = {r["doc_id"]: r["copies"] for r in mixing.mix(before).where("copies > 0").collect()}
