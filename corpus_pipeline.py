@@ -11,7 +11,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from segsum.llm import line_dedup, mixing, packing, shingle_dedup, toxicity
+from segsum.llm import line_dedup, mixing, packing, simhash_wide, toxicity
 from segsum.llm.common import ensure_checkpoint_dir, read_table
 
 
@@ -26,8 +26,8 @@ def without_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays: five-word shingles, similarity .8 or more."""
-    return shingle_dedup.drop_near_copies(docs)
+    """One document of each group of near copies stays: SimHash of five-word shingles, similarity .8 or more."""
+    return simhash_wide.drop_near_copies(docs)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
