@@ -478,18 +478,103 @@ def test_pages_without_article_and_odd_input(spark):
     assert html_extract.extract(pages(spark, [])).count() == 0
 
 
-def test_given_pages_equal_a_plain_reading(spark, medium):
+def plain_reading(page):
     import html
 
+    body = page.split("<article>")[1].split("</article>")[0].split("<footer>")[0]
+    parts = [" ".join(html.unescape(re.sub(r"<[^>]+>", " ", re.sub("</?b>", "", x))).split()) for x in re.split(r"</?(?:p|h1)>", body)]
+    return "\n".join(x for x in parts if x)
+
+
+def test_given_pages_equal_a_plain_reading(spark, medium):
     df = spark.read.parquet(f"{medium}/pages.parquet")
     got = {r["page_id"]: r["text"] for r in html_extract.extract(df).collect()}
     for r in df.collect():
-        body = r["html"].split("<article>")[1].split("</article>")[0].split("<footer>")[0]
-        parts = [" ".join(html.unescape(re.sub(r"<[^>]+>", " ", re.sub("</?b>", "", x))).split()) for x in re.split(r"</?(?:p|h1)>", body)]
-        assert got[r["page_id"]] == "\n".join(x for x in parts if x)
+        assert got[r["page_id"]] == plain_reading(r["html"])
+
+
+MUTE = {"nav": "div", "article": "div", "footer": "div", "ul": "div", "li": "div", "h1": "p"}
+
+
+def mute(page, n):
+    """The page without telling names: every element a div or p, one class each that means nothing."""
+    def plain(m):
+        tag = m.group(2)
+        cls = {"nav": "qa", "ul": "qb", "li": "qc", "article": "qd", "footer": "qe"}.get(tag)
+        return f"<{m.group(1)}{MUTE[tag]}" + (f' class="{cls}{n}"' if cls and not m.group(1) else "") + ">"
+
+    return re.sub(r"<(/?)(nav|article|footer|ul|li|h1)>", plain, page).replace('class="ad"', 'class="qf"')
+
+
+def test_induction_needs_no_telling_names(spark, medium):
+    """Pages of hosts with enough of them, their names made meaningless, give the same texts; without what was learned they don't."""
+    df = spark.read.parquet(f"{medium}/pages.parquet")
+    rows = [(r["page_id"], r["url"], r["html"].replace("</body></html>", "")) for r in df.collect()]
+    hosts = Counter(re.sub(r"^https?://([^/]*).*", r"\1", u) for _, u, _ in rows)
+    rows = [r for r in rows if hosts[re.sub(r"^https?://([^/]*).*", r"\1", r[1])] >= 12 and "</article>" in r[2]]
+    muted = pages(spark, [(i, u, mute(h, i)) for i, u, h in rows])
+    got = {r["page_id"]: r["text"] for r in html_extract.extract(muted).collect()}
+    assert len(rows) > 20 and all(got[i] == plain_reading(h) for i, _, h in rows)
+    root, blocks = html_extract.parse(mute(rows[0][2], 1))
+    untaught = html_extract.Wrapper(html_extract.frame(root), [], set())
+    assert untaught.region == 0 and untaught.read(root, blocks) != got[rows[0][0]]
+
+
+def test_long_and_deep_pages(spark):
+    """Thousands of siblings that no fold joins, and nesting beyond any recursion limit, are aligned all the same."""
+    sections = "".join(f"<div class='{'abcdefgh'[i * i % 8]}{'xyz'[i % 3]}'><p>part {i} of {{i}}</p></div><ul><li>item</li></ul>" for i in range(1500))
+    many = f"<div class='menu'><p>Home</p></div><main>{sections}</main><div class='end'><p>bye</p></div>"
+    deep = "<div>" * 4000 + "<p>deep {i}</p><p>same</p>" + "</div>" * 4000
+    rows = [(i, "http://many/", many.replace("{i}", str(i))) for i in range(9)] + [(100 + i, "http://deep/", deep.replace("{i}", str(i))) for i in range(9)]
+    got = {r["page_id"]: r["text"] for r in html_extract.extract(pages(spark, rows)).collect()}
+    assert got[3] == "\n".join(f"part {i} of 3" for i in range(1500)) and got[104] == "deep 4"
+
+
+def test_unclosed_elements_hold_what_follows():
+    text = lambda page: [t for _, t, _ in html_extract.parse(page)[1]]
+    assert text("<p>a<svg><p>b<object><p>c<audio>d") == ["a", "b", "c d"] and text("<p>a<script>b<p>c") == ["a"]
+
+
+def tree(rng, depth=0):
+    kids = [tree(rng, depth + 1) for _ in range(rng.integers(0, 4))] if depth < 3 else []
+    return "abc"[rng.integers(3)], kids
+
+
+def written(t):
+    return t[0] + (f"({' '.join(written(k) for k in t[1])})" if t[1] else "")
+
+
+def plain_matching(x, y):
+    """Largest simple tree matching, by recursion over all cells."""
+    if x[0] != y[0]:
+        return 0
+    best = [[0] * (len(y[1]) + 1) for _ in range(len(x[1]) + 1)]
+    for i, p in enumerate(x[1]):
+        for j, q in enumerate(y[1]):
+            w = plain_matching(p, q)
+            best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + w if w else 0)
+    return 1 + best[-1][-1]
+
+
+def test_tree_matching_is_the_largest():
+    rng = np.random.default_rng(11)
+    for _ in range(300):
+        x, y = ("a", tree(rng)[1]), ("a", tree(rng)[1])
+        found = html_extract.matched(written(x), written(y))
+        hit = [j for j in found if j >= 0]
+        assert len(hit) == plain_matching(x, y) and hit == sorted(set(hit))
+        labels = [re.findall("[abc]", written(z)) for z in (x, y)]
+        assert all(labels[0][i] == labels[1][j] for i, j in enumerate(found) if j >= 0)
 
 
 def test_tree_matching_keeps_order():
-    a, b = html_extract.folded("body(nav div(h1 p) footer)"), html_extract.folded("body(div(p) aside footer)")
-    m = html_extract.matched(a, b)
-    assert m[()] == 0 and m[(1,)] == 1 and m[(1, 1)] == 2 and m[(2,)] == 4 and (0,) not in m and (1, 0) not in m
+    m = html_extract.matched("body(nav div(h1 p) footer)", "body(div(p) aside footer)")
+    assert m == [0, -1, 1, -1, 2, 4]
+
+
+def test_repeats_fold():
+    def folds(page):
+        return html_extract.frame(html_extract.parse(page)[0])
+
+    assert folds("<p>a<p>b<p>c") == "html(p)" and folds("<div>m</div><div>t</div><div>f</div>") == "html(div div div)"
+    assert folds("<h2>a</h2><p>b<h2>c</h2><p>d<h2>e</h2><p>f") == "html(h2 p)" and folds("<div>x</div>" * 9) == "html(div div div)"
