@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.settle import numbered, running_total, settled
 from .pps import pps
 
 MOST_DIMS = 12
@@ -86,9 +87,23 @@ def allocate(cells: DataFrame, budget: int, method: str = "workload_cuberoot", s
 def round_sizes(shares: DataFrame, budget: int) -> DataFrame:
     """(seg, s): whole parts, and one more for the largest remainders until the budget is met."""
     whole = shares.select("seg", F.floor(F.round("share", 9)).cast("long").alias("s"), F.round(F.round("share", 9) - F.floor(F.round("share", 9)), 9).alias("rest"))
-    left = F.lit(budget) - F.sum("s").over(Window.partitionBy())
-    rank = F.row_number().over(Window.orderBy(F.desc("rest"), "seg"))
-    return whole.withColumn("left", left).withColumn("rank", rank).select("seg", (F.col("s") + (F.col("rank") <= F.col("left")).cast("long")).alias("s"))
+    whole = numbered(whole, [F.desc("rest"), F.col("seg")], "rank")
+    left = whole.agg((F.lit(budget) - F.sum("s")).alias("left"))  # one row
+    return whole.crossJoin(F.broadcast(left)).select("seg", (F.col("s") + (F.col("rank") < F.col("left")).cast("long")).alias("s"))
+
+
+def cap_shares(shares: DataFrame, caps: DataFrame) -> DataFrame:
+    """(seg, share): no cell gets more space than `caps` (seg, most; its distinct values), the excess goes to the others in proportion. What no cell can use is left over."""
+    both = settled(shares.join(caps.select("seg", F.col("most").cast("double").alias("most")), "seg"))
+    rate, full = 1.0, -1
+    while True:
+        over = F.col("share") * F.lit(rate) >= F.col("most")
+        got = both.agg(F.count_if(over), F.sum(F.when(over, F.col("most"))), F.sum(F.when(~over, F.col("share"))), F.sum("share")).first()
+        if got[0] == full or not got[2]:
+            break
+        full = got[0]
+        rate = (got[3] - (got[1] or 0.0)) / got[2]
+    return both.select("seg", F.least("most", F.col("share") * F.lit(rate)).alias("share"))
 
 
 def msre_bound(cells: DataFrame, dims: list[str], workload: IndependentFilters | DataFrame) -> DataFrame:
@@ -120,25 +135,48 @@ def bias_at(pieces: DataFrame, lam: Column) -> DataFrame:
     return pieces.groupBy("seg", lam.alias("lam")).agg(F.min(F.when(at_start, F.col("a")).when(at_end, inside)).alias("b"))
 
 
-def fit_bias(counts: DataFrame, sizes: DataFrame, rounds: int = 6, fan: int = 24) -> DataFrame:
+def bias_multiplier(pieces: DataFrame) -> float:
+    """The multiplier that equals four times the summed bias at it.
+
+    As a function of the multiplier a cell's bias is made of straight pieces:
+    falling inside a gap between counts, flat where it rests on a count. Where
+    the pieces begin and end, the sum over all cells changes its straight line;
+    its running sums over these points show the line that holds the answer.
+    """
+    s2 = F.col("s").cast("double") ** 2
+    by = Window.partitionBy("seg").orderBy("a")
+    c, c2 = F.col("c").cast("double"), F.lag("c").over(by).cast("double")
+    ends = pieces.select(
+        "seg", "a", s2.alias("s2"), c.alias("c"), "rest", ((F.col("rest") - c * F.col("a")) * c).alias("start"),
+        F.greatest((F.col("rest") - c * F.coalesce("a2", "a")) * c, F.lit(0.0)).alias("end"),
+        ((F.lag("rest").over(by) - c2 * F.col("a")) * c2).alias("was"),
+    )
+    part = lambda lo, hi, level, slope: F.struct(lo.alias("lo"), hi.alias("hi"), level.alias("level"), slope.alias("slope"))
+    spaced = ends.where("s2 > 0")
+    gaps = spaced.where("c > 0").select(part(F.col("end") / F.col("s2"), F.col("start") / F.col("s2"), F.col("rest") / F.col("c"), -F.col("s2") / F.col("c") ** 2).alias("p"))
+    rests = spaced.where("a > 0").select(part(F.col("start") / F.col("s2"), F.col("was") / F.col("s2"), F.col("a"), F.lit(0.0)).alias("p"))
+    spaceless = ends.where("s2 = 0 AND c = 0").select(part(F.lit(0.0), F.lit(None).cast("double"), F.col("a"), F.lit(0.0)).alias("p"))  # a cell that stores nothing gives up all
+    lines = gaps.unionByName(rests).unionByName(spaceless).select("p.*").where("hi IS NULL OR hi > lo")
+    turns = (
+        lines.select(F.col("lo").alias("at"), "level", "slope")
+        .unionByName(lines.where("hi IS NOT NULL").select(F.col("hi").alias("at"), (-F.col("level")).alias("level"), (-F.col("slope")).alias("slope")))
+        .groupBy("at").agg(F.sum("level").alias("level"), F.sum("slope").alias("slope"))
+    )
+    level = running_total(turns, [F.col("at")], "level").withColumnRenamed("upto", "levels").drop("size")
+    both = running_total(level, [F.col("at")], "slope").withColumnRenamed("upto", "slopes")
+    above = both.where(4 * (F.col("levels") + F.col("slopes") * F.col("at")) >= F.col("at"))
+    at = above.agg(F.max_by(F.struct("levels", "slopes"), "at").alias("line")).first()
+    return max(0.0, 4 * at["line"]["levels"] / (1 - 4 * at["line"]["slopes"])) if at["line"] is not None else 0.0
+
+
+def fit_bias(counts: DataFrame, sizes: DataFrame) -> DataFrame:
     """(seg, b) that minimise (sum b)^2 + sum (n[b] / s)^2 / 4, the bound of the query over the whole cube.
 
     Each cell's bias falls with one shared multiplier, four times the summed
-    bias; the multiplier is cornered by trying `fan` values in each pass over
-    the table of distinct counts.
+    bias, which is found in one pass over the table of distinct counts.
     """
-    pieces = bias_pieces(counts, sizes).cache()
-    most = pieces.groupBy("seg").agg(F.max("a").alias("a")).agg(F.sum("a")).first()[0] or 0.0
-    lo, hi = 0.0, 4.0 * most + 1e-9
-    for _ in range(rounds):
-        tries = [lo + (hi - lo) * i / fan for i in range(fan + 1)]
-        wide = pieces.withColumn("lam", F.explode(F.array(*[F.lit(float(t)) for t in tries])))
-        total = {r["lam"]: r["total"] for r in bias_at(wide, F.col("lam")).groupBy("lam").agg(F.sum("b").alias("total")).collect()}
-        over = [t for t in tries if 4 * total.get(t, 0.0) >= t]
-        lo = max(over) if over else 0.0
-        hi = min([t for t in tries if t > lo], default=hi)
-    out = bias_at(pieces, F.lit((lo + hi) / 2)).select("seg", "b")
-    return out
+    pieces = settled(bias_pieces(counts, sizes))
+    return bias_at(pieces, F.lit(bias_multiplier(pieces))).select("seg", "b")
 
 
 def bias_objective(counts: DataFrame, sizes: DataFrame, bias: DataFrame) -> float:

@@ -10,8 +10,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.hashing import uniform
 from ..functions.kernels import SpaceSaving, VarOptReservoir
-from .pps import pps
+from ..functions.settle import running_total, settled
 from .segment import probe_array, probe_grid, quantiles
 
 
@@ -82,9 +83,21 @@ def accumulate_values(summary: DataFrame, where: Column, size: int, seed: int =
 
 
 def accumulate_sampled(summary: DataFrame, where: Column, size: int, seed: int = 7) -> DataFrame:
-    """The same bound in SQL: one systematic sample over the accumulated pairs."""
-    acc = accumulate(summary, where).select(F.lit(0).cast("long").alias("seg"), "item", F.col("w").alias("cnt"))
-    return pps(acc, size, "systematic", seed).select("item", "w")
+    """The same bound in SQL: one systematic sample over the accumulated pairs, by ranges of items. Heavy items are among the `size` largest, all that one task sees."""
+    acc = settled(accumulate(summary, where))
+    total = acc.agg(F.sum("w").alias("total"))
+    order = Window.orderBy(F.desc("w"), "item")
+    largest = acc.orderBy(F.desc("w"), "item").limit(size).crossJoin(F.broadcast(total))  # one row
+    ahead = F.coalesce(F.sum("w").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
+    slots = F.lit(size) - F.row_number().over(order) + 1
+    heavy = largest.select("item", "w", "total", (F.col("w") * slots >= F.col("total") - ahead - 1e-9).alias("heavy")).where("heavy")
+    rest = heavy.agg(F.coalesce(F.sum("w"), F.lit(0.0)).alias("taken"), F.count(F.lit(1)).alias("n")).crossJoin(F.broadcast(total))  # one row each
+    level = rest.select(F.coalesce(F.try_divide(F.col("total") - F.col("taken"), F.lit(size) - F.col("n")), F.lit(0.0)).alias("h"))
+    light = acc.join(F.broadcast(heavy.select("item")), "item", "left_anti").crossJoin(F.broadcast(level)).where("h > 0").withColumn("p", F.col("w") / F.col("h"))
+    u = uniform(seed, F.lit(0))
+    run = running_total(light, [F.col("item")], "p")
+    drawn = run.where(F.floor(F.round(F.col("upto") + u, 9)) > F.floor(F.round(F.col("upto") - F.col("p") + u, 9)))
+    return heavy.select("item", "w").unionByName(drawn.select("item", F.col("h").alias("w")))
 
 
 def top_k(acc: DataFrame, k: int) -> DataFrame:

@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.settle import numbered, running_total
+
 
 def segment_interval(df: DataFrame, t_col: str, seconds: int, origin: str, k_t: int | None = None) -> DataFrame:
     """Add seg (aligned windows of `seconds` since `origin`) and, with `k_t`, block. Narrow: no shuffle."""
@@ -25,15 +27,15 @@ def block_of(seg: Column, k_t: int) -> Column:
 
 
 def segment_cube(df: DataFrame, dims: list[str]) -> tuple[DataFrame, DataFrame]:
-    """(rows with seg, cells with seg and dims). Cells are numbered in the order of their dims; the cell table is far smaller than the rows and joins back on all dims."""
+    """(rows with seg, cells with seg and dims). Cells are numbered in the order of their dims, range by range; the cell table is far smaller than the rows and joins back on all dims."""
     cells = df.groupBy(*dims).agg(F.count(F.lit(1)).alias("n"))
-    numbered = cells.withColumn("seg", F.row_number().over(Window.orderBy(*dims)).cast("long") - 1)
-    match = [df[d].eqNullSafe(numbered[d]) for d in dims]
+    cells = numbered(cells, [F.col(d) for d in dims], "seg")
+    match = [df[d].eqNullSafe(cells[d]) for d in dims]
     cond = match[0]
     for m in match[1:]:
         cond = cond & m
-    rows = df.join(numbered.select("seg", *dims), cond).select(df["*"], "seg")
-    return rows, numbered.select("seg", *dims, "n")
+    rows = df.join(cells.select("seg", *dims), cond).select(df["*"], "seg")
+    return rows, cells.select("seg", *dims, "n")
 
 
 def value_counts(df: DataFrame, item: str = "item", keys: tuple[str, ...] = ("seg",)) -> DataFrame:
@@ -76,14 +78,8 @@ def probe_grid(df: DataFrame, probes: list[float]) -> DataFrame:
 
 
 def cumulative(counts: DataFrame, weight: str = "cnt") -> DataFrame:
-    """Item totals with the total up to each, in order of item, without one task holding all: ranges are summed, shifted, and numbered inside."""
-    totals = counts.groupBy("item").agg(F.sum(weight).alias(weight))
-    parts = totals.repartitionByRange("item").withColumn("part", F.spark_partition_id())
-    inside = Window.partitionBy("part").orderBy("item").rowsBetween(Window.unboundedPreceding, 0)
-    local = parts.withColumn("upto", F.sum(weight).over(inside))
-    sums = local.groupBy("part").agg(F.max("upto").alias("size"))
-    before = sums.select("part", F.coalesce(F.sum("size").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    return local.join(F.broadcast(before), "part").select("item", weight, (F.col("upto") + F.col("base")).alias("upto"))
+    """(item, weight, upto, size): item totals with the total up to each in order of item and that of all, without one task holding all."""
+    return running_total(counts.groupBy("item").agg(F.sum(weight).alias(weight)), [F.col("item")], weight)
 
 
 def exact_quantile(counts: DataFrame, where: Column, phis: list[float]) -> DataFrame:
@@ -93,7 +89,7 @@ def exact_quantile(counts: DataFrame, where: Column, phis: list[float]) -> DataF
 
 def quantiles(acc: DataFrame, phis: list[float], weight: str = "w", total: float | None = None) -> DataFrame:
     cum = cumulative(acc, weight)
-    size = F.lit(total) if total is not None else F.max("upto").over(Window.partitionBy())
+    size = F.col("size") if total is None else F.lit(float(total))
     wide = cum.withColumn("size", size).withColumn("phi", F.explode(F.array(*[F.lit(p) for p in phis])))
     return wide.where(F.col("upto") >= F.col("phi") * F.col("size") - 1e-9).groupBy("phi").agg(F.min("item").alias("value"))
 

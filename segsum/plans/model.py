@@ -40,7 +40,10 @@ class IntervalSpec:
     def header(self, df: DataFrame) -> DataFrame:
         """(seg, n, n_distinct, n_null)."""
         seg = segment_interval(df, self.t_col, self.seconds, self.origin)
-        nulls = seg.groupBy("seg").agg(F.count_if(F.col(self.item_col).isNull()).alias("n_null"))
+        none = F.col(self.item_col).isNull()
+        if dict(df.dtypes)[self.item_col] in ("double", "float"):
+            none = none | F.isnan(self.item_col)
+        nulls = seg.groupBy("seg").agg(F.count_if(none).alias("n_null"))
         return nulls.join(segment_header(self.counts(df)), "seg", "left").select("seg", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("n_distinct", F.lit(0)).alias("n_distinct"), "n_null")
 
     def build(self, df: DataFrame) -> DataFrame:

@@ -72,7 +72,7 @@ def interval_rows(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return cut.select("seg", item.alias("item"), F.col("event_id").cast("string").alias("key"))
     if name == "doc_words":
         words = word_items(table(spark, sf_dir, "documents"))
-        return words.select(F.floor(F.col("doc_id") / 8).cast("long").alias("seg"), "item", F.concat_ws("|", F.col("doc_id").cast("string"), "item").alias("key"))
+        return words.select(F.floor(F.col("doc_id") / 8).cast("long").alias("seg"), "item", F.concat_ws("|", F.col("doc_id").cast("string"), F.col("pos").cast("string"), "item").alias("key"))
     raise KeyError(name)
 
 
@@ -83,7 +83,7 @@ def _log2(c: Column) -> Column:
 
 CUBES = {
     "cube_smoke": (["l_returnflag", "l_linestatus", "o_orderstatus", "o_orderpriority"], 11),
-    "cube_retail": (["c_mktsegment", "o_orderpriority", "r_name", "p_brand"], 10),
+    "cube_retail": (["c_mktsegment", "o_orderpriority", "r_name", "p_brand"], 30),
     "cube_skew": (["d_quantity", "d_size", "p_type", "o_orderpriority"], 5),
     "cube_text": (["lang", "source", "d_chars", "d_quality"], 22),
     "cube_event": (["event_type", "d_hour", "d_weekday", "d_k"], 11),
@@ -95,8 +95,8 @@ def cube_rows(spark: SparkSession, sf_dir: str, name: str, item: str | None = No
     dims = CUBES[name][0]
     if name == "cube_text":
         docs = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id", "left")
-        own = docs.select("doc_id", "lang", "source", _log2(F.col("n_chars")).alias("d_chars"), F.coalesce("quality", F.lit(-1)).alias("d_quality"), F.explode(F.split("text", " ")).alias("item"))
-        return own.where(F.col("item") != "").select(*dims, "item", F.concat_ws("|", F.col("doc_id").cast("string"), "item").alias("key"))
+        own = docs.select("doc_id", "lang", "source", _log2(F.col("n_chars")).alias("d_chars"), F.coalesce("quality", F.lit(-1)).alias("d_quality"), F.posexplode(F.split("text", " ")).alias("pos", "item"))
+        return own.where(F.col("item") != "").select(*dims, "item", F.concat_ws("|", F.col("doc_id").cast("string"), F.col("pos").cast("string"), "item").alias("key"))
     if name == "cube_event":
         ev = table(spark, sf_dir, "events")
         k = F.get_json_object("props", "$.k").cast("long")

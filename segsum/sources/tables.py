@@ -37,5 +37,5 @@ def rate_stream(spark: SparkSession, rows_per_second: int) -> DataFrame:
 
 
 def word_items(documents: DataFrame) -> DataFrame:
-    """(doc_id, item): one row per word."""
-    return documents.select("doc_id", F.explode(F.split("text", " ")).alias("item")).where(F.col("item") != "")
+    """(doc_id, pos, item): one row per word."""
+    return documents.select("doc_id", F.posexplode(F.split("text", " ")).alias("pos", "item")).where(F.col("item") != "")

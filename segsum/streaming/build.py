@@ -51,12 +51,12 @@ class _Carry(StatefulProcessor):
     def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timer: object) -> Iterator[pd.DataFrame]:
         pdf = pd.concat(list(rows))
         state = FreqCompensator(self.s, self.r, self.threshold)
-        known = [(k[0], v[0]) for k, v in self.owed.iterator()]
+        known = {k[0]: v[0] for k, v in self.owed.iterator()}
         if known:
             state.items = np.empty(len(known), dtype=object)
-            state.items[:] = [k for k, _ in known]
-            state.owed = np.array([v for _, v in known])
-            state.place = {k: i for i, (k, _) in enumerate(known)}
+            state.items[:] = list(known)
+            state.owed = np.array(list(known.values()))
+            state.place = {k: i for i, k in enumerate(known)}
         last = self.done.get()[0] if self.done.exists() else -1
         for seg, part in pdf.sort_values(["seg", "item"]).groupby("seg"):
             if seg <= last:
@@ -64,8 +64,12 @@ class _Carry(StatefulProcessor):
             items, w = state.add(part["item"].tolist(), part["cnt"].to_numpy())
             yield pd.DataFrame({"block": key[0], "seg": seg, "item": items, "w": w})
             last = int(seg)
-        for x, i in state.place.items():
-            self.owed.updateValue((x,), (float(state.owed[i]),))
+        for x, i in state.place.items():  # only what this trigger changed; what is paid back leaves the state
+            eps = float(state.owed[i])
+            if eps > 0 and eps != known.get(x):
+                self.owed.updateValue((x,), (eps,))
+            elif eps <= 0 and x in known:
+                self.owed.removeKey((x,))
         self.done.update((last,))
         if last == (key[0] + 1) * self.k_t - 1:
             self.owed.clear()
