@@ -1,14 +1,17 @@
 """Repeated passages: remove every word inside a window of words that starts more than once.
 
-Documents travel in packs (a few MB of text each, compressed), fixed by a
-checkpoint so that every pass sees the same packs.
+Documents travel in packs (a few MB of text each, compressed), written once as a
+table bucketed by the task that packed them: every pass sees the same packs where
+they lie, and only sketches, hashes and answers of one bit are shuffled.
 
 1. Each pack hashes its windows into the cells of a count-min sketch (one row,
-   2**36 cells, counters that stop at two), kept sparse: sorted cells, as
-   deltas, cut into stripes. A stripe merges the sketches of all packs and
-   answers each with one bit per cell sent: estimated repeated or not. The
-   estimate never falls short, so no repeated window is lost.
-2. Only windows estimated repeated are sent on, as 128-bit hashes of their word
+   counters that stop at two, CELLS cells for each word of the corpus), kept
+   sparse: sorted cells, as deltas, cut into stripes. A stripe merges the
+   sketches of all packs and answers each with one bit per cell sent: estimated
+   repeated or not. The estimate never falls short, so no repeated window is lost.
+   A dense sketch of every partition would be larger: its width has to follow the
+   windows of all partitions, its load only those of one.
+2. Only windows estimated repeated are sent on, as 96-bit hashes of their word
    sequence, grouped exactly, and answered with one bit each.
 3. Each pack marks the words that repeated windows cover and writes its rows.
 
@@ -24,6 +27,7 @@ passed through; an empty table gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,14 +37,16 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bytehash import owners, text_buffer, window_hashes, word_hashes, word_spans
-from .common import cut
+from .bytehash import _BLANK, owners, text_buffer, window_hashes, word_hashes, word_spans
+from .common import cut, ensure_checkpoint_dir
 
 WIDTH = 35
 PACK_BYTES = 4 << 20
-CELL_BITS = 36
+#: Cells of the sketch for each word: one window in so many meets another one's cell by chance.
+CELLS = 32
 STRIPE_BYTES = 16 << 20
-PACK_SCHEMA = "pack long, part int, kind string, n long, data binary"
+PACKS = "task long, pack long, n long, words long, data binary"
+ENTRIES = "task long, pack long, part int, kind string, n long, data binary"
 RESULT_SCHEMA = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string"
 
 
@@ -60,7 +66,7 @@ def _stretch(data: bytes, n: int, kinds: list[str]) -> list[np.ndarray]:
 
 
 def pack_documents(docs: DataFrame, id_col: str, text_col: str, pack_bytes: int) -> DataFrame:
-    """One row per pack: an Arrow stream of (doc_id, text), compressed. The pack's number comes from its content's place in the scan."""
+    """One row per pack: an Arrow stream of (doc_id, text), compressed, its bytes and words, and the task that packed it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -73,10 +79,8 @@ def pack_documents(docs: DataFrame, id_col: str, text_col: str, pack_bytes: int)
             with pa.ipc.new_stream(sink, table.schema) as out:
                 out.write_table(table)
             data = zstandard.ZstdCompressor(level=3).compress(sink.getvalue().to_pybytes())
-            return pa.RecordBatch.from_arrays(
-                [pa.array([(task << 32) + made]), pa.array([0], pa.int32()), pa.array(["docs"]), pa.array([table.nbytes]), pa.array([data])],
-                ["pack", "part", "kind", "n", "data"],
-            )
+            words = sum(_words(c) for c in table.column(1).chunks)
+            return pa.RecordBatch.from_arrays([pa.array([task]), pa.array([made]), pa.array([table.nbytes]), pa.array([words], pa.int64()), pa.array([data])], ["task", "pack", "n", "words", "data"])
 
         for batch in batches:
             batch = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1).cast(pa.large_string())], ["doc_id", "text"])
@@ -94,13 +98,29 @@ def pack_documents(docs: DataFrame, id_col: str, text_col: str, pack_bytes: int)
         if held:
             yield seal()
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, PACK_SCHEMA)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, PACKS)
 
 
 def _lengths(column: pa.Array) -> np.ndarray:
     return np.diff(text_buffer(column)[1])
 
 
+def _words(column: pa.Array) -> int:
+    """Words of all texts, or a few less where one text ends and the next begins without a blank."""
+    solid = ~_BLANK[text_buffer(column)[0]]
+    return int((solid[1:] & ~solid[:-1]).sum()) + 1
+
+
+def _stored(packs: DataFrame) -> DataFrame:
+    """`packs` as a table bucketed by task in the shared checkpoint folder: read again without a shuffle."""
+    spark = packs.sparkSession
+    ensure_checkpoint_dir(spark)
+    name = f"segsum_packs_{uuid.uuid4().hex}"
+    buckets = min(100_000, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    packs.write.format("parquet").option("compression", "none").option("path", f"{spark.sparkContext.getCheckpointDir()}/{name}").bucketBy(buckets, "task").saveAsTable(name)
+    return spark.table(name)
+
+
 def _open(data: bytes) -> pa.Table:
     return pa.ipc.open_stream(zstandard.ZstdDecompressor().decompress(data)).read_all().combine_chunks()
 
@@ -108,7 +128,8 @@ def _open(data: bytes) -> pa.Table:
 class _Windows:
     """Words and windows of one pack."""
 
-    def __init__(self, table: pa.Table, width: int):
+    def __init__(self, table: pa.Table, width: int, bits: int):
+        self.bits = np.uint64(64 - bits)
         self.ids = table.column(0).combine_chunks()
         self.raw, self.at = text_buffer(table.column(1))
         self.starts, self.ends = word_spans(self.raw, self.at)
@@ -122,15 +143,15 @@ class _Windows:
 
     def cells(self) -> tuple[np.ndarray, np.ndarray]:
         """Sorted distinct cells, and whether each holds more than one window of this pack."""
-        return np.unique(self.first >> np.uint64(64 - CELL_BITS), return_counts=True)
+        return np.unique(self.first >> self.bits, return_counts=True)
 
     def candidates(self, repeated: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Windows whose cell is among the sorted `repeated`: both hashes and counts of the distinct ones in order, and for each window its place among them (-1 if none)."""
-        cell = self.first >> np.uint64(64 - CELL_BITS)
+        cell = self.first >> self.bits
         hit = np.flatnonzero(_among(cell, repeated))
         place = np.full(len(cell), -1, np.int64)
         h1 = self.first[hit]
-        h2 = window_hashes(self.words, self.width, 0xA0761D6478BD642F)[self.where[hit]]
+        h2 = (window_hashes(self.words, self.width, 0xA0761D6478BD642F)[self.where[hit]] >> np.uint64(32)).astype(np.uint32)
         order = np.lexsort((h2, h1))
         h1, h2 = h1[order], h2[order]
         new = np.ones(len(hit), bool)
@@ -153,12 +174,13 @@ def _stripes(values: np.ndarray, bits: int, stripes: int) -> np.ndarray:
     return np.concatenate(([0], np.searchsorted(values, edges), [len(values)]))
 
 
-def _batch(rows: list[tuple[int, int, str, int, bytes]]) -> pa.RecordBatch:
-    cols = list(zip(*rows, strict=True)) if rows else [[], [], [], [], []]
-    return pa.RecordBatch.from_arrays(
-        [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.string()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.binary())],
-        ["pack", "part", "kind", "n", "data"],
-    )
+NAMES = ["task", "pack", "part", "kind", "n", "data"]
+
+
+def _batch(rows: list[tuple[int, int, int, str, int, bytes]]) -> pa.RecordBatch:
+    cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
+    kinds = [pa.int64(), pa.int64(), pa.int32(), pa.string(), pa.int64(), pa.binary()]
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], NAMES)
 
 
 def _bits(flags: np.ndarray) -> bytes:
@@ -176,20 +198,21 @@ def remove_repeats(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, pack_bytes: int = PACK_BYTES, stripe_bytes: int = STRIPE_BYTES, with_text: bool = True,
 ) -> DataFrame:
     """(doc_id, n_words, n_removed, kept_sha256, kept) per row; `kept` is null unless `with_text`."""
-    packs = cut(pack_documents(docs, id_col, text_col, pack_bytes))
-    total = packs.agg(F.sum("n")).first()[0] or 0
-    stripes = max(24, -(-total // stripe_bytes))
+    packs = _stored(pack_documents(docs, id_col, text_col, pack_bytes))
+    size = packs.agg(F.sum("n"), F.sum("words")).first()
+    stripes = max(24, -(-(size[0] or 0) // stripe_bytes))
+    bits = max(16, min(63, int(CELLS * (size[1] or 0)).bit_length()))
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for pack, data in zip(batch.column(0).to_pylist(), batch.column(4), strict=True):
-                cells, counts = _Windows(_open(data.as_py()), width).cells()
-                rows, at = [], _stripes(cells, CELL_BITS, stripes)
+            for task, pack, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                cells, counts = _Windows(_open(data.as_py()), width, bits).cells()
+                rows, at = [], _stripes(cells, bits, stripes)
                 for i in range(stripes):
                     c, n = cells[at[i]:at[i + 1]], counts[at[i]:at[i + 1]]
                     if len(c):
                         gaps = np.diff(c, prepend=np.uint64(0))
-                        rows.append((pack, i, "cells", len(c), _squeeze([gaps, (n > 1).astype(np.uint8)])))
+                        rows.append((task, pack, i, "cells", len(c), _squeeze([gaps, (n > 1).astype(np.uint8)])))
                 if rows:
                     yield _batch(rows)
 
@@ -200,31 +223,33 @@ def remove_repeats(
             sent.append((np.cumsum(gaps, dtype=np.uint64), more.astype(bool)))
         cells = np.sort(np.concatenate([c for c, _ in sent] + [c[m] for c, m in sent]))
         repeated = np.unique(cells[1:][cells[1:] == cells[:-1]])
-        pdf = pdf[["pack", "part", "n"]].copy()
-        pdf["kind"] = "cell answers"
-        pdf["data"] = [_bits(_among(c, repeated)) for c, _ in sent]
-        return pdf[["pack", "part", "kind", "n", "data"]]
+        out = pdf[["task", "pack", "part", "n"]].copy()
+        out["kind"] = "cell answers"
+        out["data"] = [_bits(_among(c, repeated)) for c, _ in sent]
+        return out[NAMES]
 
-    def narrowed(pdf: pd.DataFrame) -> tuple[_Windows, tuple]:
-        own = _Windows(_open(pdf.data[pdf.kind == "docs"].iloc[0]), width)
+    def narrowed(data: bytes, answers: pd.DataFrame) -> tuple[_Windows, tuple]:
+        own = _Windows(_open(data), width, bits)
         cells, _ = own.cells()
-        flags = _flags(pdf, "cell answers")
+        flags = _flags(answers, "cell answers")
         return own, own.candidates(cells[flags] if len(flags) else cells[:0])
 
-    def propose(pdf: pd.DataFrame) -> pd.DataFrame:
-        _, (h1, h2, counts, _) = narrowed(pdf)
-        pack, rows, at = int(pdf.pack.iloc[0]), [], _stripes(h1, 64, stripes)
-        for i in range(stripes):
-            a, b = at[i], at[i + 1]
-            if b > a:
-                gaps = np.diff(h1[a:b], prepend=np.uint64(0))
-                rows.append((pack, i, "windows", b - a, _squeeze([gaps, h2[a:b], (counts[a:b] > 1).astype(np.uint8)])))
-        return pd.DataFrame(rows, columns=["pack", "part", "kind", "n", "data"])
+    def propose(packs: pd.DataFrame, answers: pd.DataFrame) -> pd.DataFrame:
+        rows = []
+        for task, pack, data in zip(packs.task, packs.pack, packs.data, strict=True):
+            _, (h1, h2, counts, _) = narrowed(data, answers[answers.pack == pack])
+            at = _stripes(h1, 64, stripes)
+            for i in range(stripes):
+                a, b = at[i], at[i + 1]
+                if b > a:
+                    gaps = np.diff(h1[a:b], prepend=np.uint64(0))
+                    rows.append((task, pack, i, "windows", b - a, _squeeze([gaps, h2[a:b], (counts[a:b] > 1).astype(np.uint8)])))
+        return pd.DataFrame(rows, columns=NAMES)
 
     def settle(pdf: pd.DataFrame) -> pd.DataFrame:
         firsts, seconds, mores = [], [], []
         for n, data in zip(pdf.n, pdf.data, strict=True):
-            gaps, h2, more = _stretch(data, n, ["<u8", "<u8", "u1"])
+            gaps, h2, more = _stretch(data, n, ["<u8", "<u4", "u1"])
             firsts.append(np.cumsum(gaps, dtype=np.uint64)), seconds.append(h2), mores.append(more > 0)
         h1, h2, more = np.concatenate(firsts), np.concatenate(seconds), np.concatenate(mores)
         order = np.lexsort((h2, h1))
@@ -235,38 +260,38 @@ def remove_repeats(
         flags = np.empty(len(order), bool)
         flags[order] = many[group]
         ends = np.cumsum(pdf.n.to_numpy())
-        out = pdf[["pack", "part", "n"]].copy()
+        out = pdf[["task", "pack", "part", "n"]].copy()
         out["kind"] = "window answers"
         out["data"] = [_bits(flags[e - n:e]) for e, n in zip(ends, pdf.n, strict=True)]
-        return out[["pack", "part", "kind", "n", "data"]]
-
-    def finish(pdf: pd.DataFrame) -> pd.DataFrame:
-        own, (_, _, _, place) = narrowed(pdf)
-        flags = _flags(pdf, "window answers")
-        hit = own.where[(place >= 0) & np.append(flags, False)[place]] if len(flags) else own.where[:0]
-        edge = np.zeros(len(own.starts) + 1, np.int32)
-        np.add.at(edge, hit, 1)
-        np.add.at(edge, hit + width, -1)
-        covered = np.cumsum(edge[:-1]) > 0
-        raw, starts, ends = own.raw.tobytes(), own.starts, own.ends
-        first = np.searchsorted(own.owner, np.arange(len(own.ids) + 1))
+        return out[NAMES]
+
+    def finish(packs: pd.DataFrame, answers: pd.DataFrame) -> pd.DataFrame:
         rows = []
-        for i, doc in enumerate(own.ids.to_pylist()):
-            a, b = int(first[i]), int(first[i + 1])
-            gone = int(covered[a:b].sum())
-            if gone:
-                left = np.flatnonzero(~covered[a:b]) + a
-                kept = b" ".join([raw[s:e] for s, e in zip(starts[left].tolist(), ends[left].tolist(), strict=True)])
-            else:
-                kept = b" ".join(raw[own.at[i]:own.at[i + 1]].split())
-            rows.append((doc, b - a, gone, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "replace") if with_text else None))
+        for pack, data in zip(packs.pack, packs.data, strict=True):
+            known = answers[answers.pack == pack]
+            own, (_, _, _, place) = narrowed(data, known)
+            flags = _flags(known, "window answers")
+            hit = own.where[(place >= 0) & np.append(flags, False)[place]] if len(flags) else own.where[:0]
+            edge = np.zeros(len(own.starts) + 1, np.int32)
+            np.add.at(edge, hit, 1)
+            np.add.at(edge, hit + width, -1)
+            covered = np.cumsum(edge[:-1]) > 0
+            raw, starts, ends = own.raw.tobytes(), own.starts, own.ends
+            first = np.searchsorted(own.owner, np.arange(len(own.ids) + 1))
+            for i, doc in enumerate(own.ids.to_pylist()):
+                a, b = int(first[i]), int(first[i + 1])
+                gone = int(covered[a:b].sum())
+                if gone:
+                    left = np.flatnonzero(~covered[a:b]) + a
+                    kept = b" ".join([raw[s:e] for s, e in zip(starts[left].tolist(), ends[left].tolist(), strict=True)])
+                else:
+                    kept = b" ".join(raw[own.at[i]:own.at[i + 1]].split())
+                rows.append((doc, b - a, gone, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "replace") if with_text else None))
         out = pd.DataFrame(rows, columns=["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
         out["doc_id"] = out["doc_id"].astype("Int64")
         return out
 
-    cell_answers = cut(packs.mapInArrow(sketch, PACK_SCHEMA).groupBy("part").applyInPandas(merge, PACK_SCHEMA))
-    known = packs.unionByName(cell_answers)
-    window_answers = cut(
-        known.groupBy("pack").applyInPandas(propose, PACK_SCHEMA).groupBy("part").applyInPandas(settle, PACK_SCHEMA)
-    )
-    return known.unionByName(window_answers).groupBy("pack").applyInPandas(finish, RESULT_SCHEMA)
+    cell_answers = cut(packs.select("task", "pack", "data").mapInArrow(sketch, ENTRIES).groupBy("part").applyInPandas(merge, ENTRIES))
+    here = packs.select("task", "pack", "data").groupBy("task")
+    window_answers = cut(here.cogroup(cell_answers.groupBy("task")).applyInPandas(propose, ENTRIES).groupBy("part").applyInPandas(settle, ENTRIES))
+    return here.cogroup(cell_answers.unionByName(window_answers).groupBy("task")).applyInPandas(finish, RESULT_SCHEMA)
