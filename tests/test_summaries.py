@@ -232,8 +232,26 @@ def test_plans_push_down_and_never_gather(spark, small, tmp_path, supp):
     joined = spark.table("bucketed_summary").join(spark.table("bucketed_summary").withColumnRenamed("w", "v"), "seg").hint("merge")
     assert joined.count() > 0
     spark.sql("DROP TABLE bucketed_summary")
-    plan = sg.cumulative(supp)._jdf.queryExecution().toString()
-    assert "rangepartitioning(item" in plan
+
+
+def test_no_task_holds_all_items_or_cells(spark, supp):
+    """Windows without a range run over the table of ranges only; a uniform sample keeps few rows a segment before they meet."""
+    shares = supp.groupBy("seg").agg(F.sum("cnt").cast("double").alias("share"))
+    for df in (sg.quantiles(supp, [0.5], "cnt"), cu.round_sizes(shares, 100_000), bl.one_large_summary(supp, F.lit(True), 40, "rank")):
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "windowspecdefinition(" in plan and all("__part" in x for x in plan.split("\n") if "windowspecdefinition(" in x)
+    rows = supp.withColumn("key", F.concat_ws("|", "seg", "item"))
+    assert "WindowGroupLimit" in bl.uniform_sample(rows, "key", 5)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_numbers_and_running_totals(spark):
+    from segsum.functions.settle import numbered, running_total
+
+    df = spark.range(1000).select(((F.col("id") * 7919) % 1000).alias("x"), (F.col("id") % 3).alias("w")).repartition(5)
+    assert [r["nr"] for r in numbered(df, [F.desc("x")], "nr").orderBy(F.desc("x")).collect()] == list(range(1000))
+    got = running_total(df, [F.col("x")], "w").orderBy("x").collect()
+    assert [r["upto"] for r in got] == np.cumsum([r["w"] for r in got]).tolist() and {r["size"] for r in got} == {got[-1]["upto"]}
+    assert numbered(df.limit(0), [F.col("x")], "nr").count() == 0
 
 
 def test_sql_surface(spark, supp):
