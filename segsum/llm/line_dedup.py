@@ -23,7 +23,13 @@ from .common import TRIMMED, cut, key_of
 
 RATIO = 0.1
 MIN_PAGES = 3
-SMALL = 500_000
+#: Bytes of lines and sites up to which they are broadcast; beyond, they are joined.
+SMALL = 32 << 20
+
+
+def _small(df: DataFrame, *texts: str) -> bool:
+    size = sum((F.octet_length(t) for t in texts), F.lit(48))
+    return (df.agg(F.sum(size)).first()[0] or 0) <= SMALL
 
 
 def _trimmed(line: Column) -> Column:
@@ -50,7 +56,7 @@ def boilerplate_lines(
         .where(passes)
         .select("site", "h", "site_pages")
     )
-    small = suspects.count() <= SMALL
+    small = _small(suspects, "site")
     again = lines.withColumn("h", F.xxhash64("line")).join(F.broadcast(suspects) if small else suspects, ["site", "h"])
     return again.groupBy("site", "line", "site_pages").agg(F.count(F.lit(1)).alias("pages")).where(passes)
 
@@ -60,7 +66,7 @@ def drop_boilerplate(
 ) -> DataFrame:
     """`docs` with those lines taken out of `text`; with `counts`, also __n_lines and __n_removed."""
     found = cut(boilerplate_lines(docs, site, text, ratio, min_pages))
-    small = found.count() <= SMALL
+    small = _small(found, "site", "line")
     by_site = found.groupBy(F.col("site").alias("__site")).agg(F.collect_set("line").alias("__drop"))
     own = docs.join(F.broadcast(by_site) if small else by_site, key_of(docs[site]) == F.col("__site"), "left")
     lines = F.split(F.col(text), "\n")

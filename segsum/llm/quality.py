@@ -8,7 +8,7 @@ fixed number of numpy passes per Arrow batch.
 
 The tables are fitted on a bounded sample of labelled rows (`per_class`).
 
-Defined cases: null and empty texts have all features zero; a sample with one
+Defined cases: without labelled rows every text gets one and the same score; null and empty texts have all features zero; a sample with one
 class only scores every row with that class's smoothed share; repeated rows
 score alike; a null id is passed through and is held out; an empty table gives
 an empty result; other columns are ignored.

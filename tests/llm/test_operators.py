@@ -377,6 +377,20 @@ def test_search_takes_odd_input(spark):
     assert ann.nearest(vectors(spark, [(0, None, 0)]), F.col("vec_id") == 0).count() == 0
 
 
+def test_vector_operators_take_clashing_columns(spark):
+    df = vectors(spark, odd_vectors(spark))
+    wide = df
+    for extra in ("node", "root", "rank", "score", "query_id", "band", "tile", "code", "component_id", "n_links", "kept", "e", "v", "x"):
+        wide = wide.withColumn(extra, F.lit("x"))
+    for run in (lambda d: embed_dedup.near_duplicates(d), lambda d: ann.nearest(d, F.col("vec_id") % 20 == 0)):
+        assert Counter(map(str, run(wide).collect())) == Counter(map(str, run(df).collect()))
+
+
+def test_quality_without_labels(spark):
+    got = quality.classify(documents(spark, ["a b c", "", None]), labels_for(spark, [])).collect()
+    assert len({r["score"] for r in got}) == 1 and 0 <= got[0]["score"] <= 1
+
+
 def test_anisotropic_codes_have_less_parallel_error():
     rng = np.random.default_rng(5)
     x = rng.normal(size=(2000, 16))

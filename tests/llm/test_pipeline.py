@@ -59,3 +59,19 @@ def test_stages_take_empty_tables(spark, small, tmp_path):
         stage(spark, at, small).write.parquet(str(tmp_path / name))
         at = spark.read.parquet(str(tmp_path / name))
     assert at.count() == 0
+
+
+def test_stages_take_odd_input(spark, small, tmp_path):
+    """Nulls in every column, empty and repeated rows, repeated ids with other texts, and columns with clashing names."""
+    good = "plain words of an ordinary text that nobody minds at all and that goes on for a while"
+    rows = [(1, good, "en", "s", 10), (1, good, "en", "s", 10), (1, "other text under the same id " * 3, "en", "s", 10), (2, None, None, None, None), (3, "", "en", None, 0), (None, good + " again", "en", "t", 9)]
+    at = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    for extra in ("site", "h", "key", "node", "t", "size", "copies", "score", "leaf"):
+        at = at.withColumn(extra, F.lit("x"))
+    names = at.columns
+    for name, stage in cp.STAGES:
+        stage(spark, at, small).write.parquet(str(tmp_path / name))
+        at = spark.read.parquet(str(tmp_path / name))
+        assert name == "packing" or at.columns == names
+        if name == "simhash_dedup":
+            assert sorted((r["doc_id"] or 0, len(r["text"] or "")) for r in at.collect()) == sorted([(0, len(good) + 6), (1, 87), (1, len(good)), (2, 0)])
