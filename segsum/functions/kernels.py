@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterable
+from collections.abc import Iterable, Sequence
 
 import numpy as np
 
@@ -20,56 +20,81 @@ def peel_threshold(counts: np.ndarray, s: int) -> tuple[float, int]:
 
 
 class FreqCompensator:
-    """Carries each item's undercount through the segments of a block and pays the largest back first."""
+    """Carries each item's undercount through the segments of a block and pays the largest back first.
+
+    Items and what they are owed are kept in ascending order of the items, so that ties go to the smaller place.
+    """
 
     def __init__(self, s: int, r: float = 1.0, threshold: str = "peel"):
         self.s, self.r, self.threshold = s, r, threshold
-        self.place: dict = {}
-        self.items = np.empty(0, dtype=object)
+        self.items: np.ndarray = np.empty(0, np.int64)
         self.owed = np.empty(0)
 
-    def add(self, items: list, counts: np.ndarray) -> tuple[list, np.ndarray]:
-        counts = np.asarray(counts, dtype=np.float64)
-        fresh = [x for x in items if x not in self.place]
-        if fresh:
-            for i, x in enumerate(fresh, len(self.place)):
-                self.place[x] = i
-            wide = np.empty(len(fresh), dtype=object)
-            wide[:] = fresh
-            self.items = np.concatenate((self.items, wide))
-            self.owed = np.concatenate((self.owed, np.zeros(len(fresh))))
-        at = np.fromiter((self.place[x] for x in items), np.int64, len(items))
+    def restore(self, items: Sequence, owed: Sequence[float]) -> None:
+        """Go on from the undercounts of an earlier run."""
+        known = _array(items)
+        order = np.argsort(known, kind="stable")
+        self.items, self.owed = known[order], np.asarray(owed, dtype=np.float64)[order]
+
+    def left(self) -> tuple[np.ndarray, np.ndarray]:
+        """Items that are still owed something, and how much."""
+        some = self.owed > 0
+        return self.items[some], self.owed[some]
+
+    def add(self, items: Sequence, counts: np.ndarray) -> tuple[list, np.ndarray]:
+        """Distinct items of the next segment with their counts; gives its pairs."""
+        items, counts = _array(items), np.asarray(counts, dtype=np.float64)
+        if not len(self.items):
+            self.items = items[:0]
+        at = np.searchsorted(self.items, items)
+        new = np.ones(len(items), bool)
+        inner = at < len(self.items)
+        new[inner] = self.items[at[inner]] != items[inner]
+        if new.any():
+            fresh = np.sort(items[new])
+            where = np.searchsorted(self.items, fresh)
+            self.items, self.owed = np.insert(self.items, where, fresh), np.insert(self.owed, where, 0.0)
+            at = np.searchsorted(self.items, items)
         if self.threshold == "peel":
             h, n_heavy = peel_threshold(counts, self.s)
             heavy = np.zeros(len(items), bool)
-            heavy[sorted(range(len(items)), key=lambda i: (-counts[i], items[i]))[:n_heavy]] = True
+            heavy[np.lexsort((at, -counts))[:n_heavy]] = True
         else:
             h = counts.sum() / self.s
             heavy = counts >= h
         self.owed[at[~heavy]] += counts[~heavy]
-        out_items, out = [items[i] for i in np.flatnonzero(heavy)], list(counts[heavy])
-        for i in self._largest(self.s - int(heavy.sum()), at[heavy]):
-            w = min(self.r * h, self.owed[i]) if h > 0 else self.owed[i]
-            out_items.append(self.items[i])
-            out.append(w)
-            self.owed[i] -= w
-        return out_items, np.array(out)
-
-    def _largest(self, k: int, but: np.ndarray) -> Iterable[int]:
+        paid = self._largest(self.s - int(heavy.sum()), at[heavy])
+        w = np.minimum(self.r * h, self.owed[paid]) if h > 0 else self.owed[paid].copy()
+        self.owed[paid] -= w
+        return [*items[heavy].tolist(), *self.items[paid].tolist()], np.concatenate((counts[heavy], w))
+
+    def _largest(self, k: int, but: np.ndarray) -> np.ndarray:
         """Places of the k largest positive undercounts outside `but`, ties to the smaller item."""
         if k <= 0:
-            return []
-        owed = self.owed.copy()
-        owed[but] = 0
-        some = np.flatnonzero(owed > 0)
+            return np.empty(0, np.int64)
+        open_ = self.owed > 0
+        open_[but] = False
+        some = np.flatnonzero(open_)
         if len(some) > k:
-            edge = np.partition(owed[some], len(some) - k)[len(some) - k]
-            over = some[owed[some] > edge]
-            tied = sorted(some[owed[some] == edge], key=lambda i: self.items[i])[: k - len(over)]
-            some = np.concatenate((over, np.array(tied, dtype=np.int64)))
+            owed = self.owed[some]
+            edge = np.partition(owed, len(some) - k)[len(some) - k]
+            over = some[owed > edge]
+            some = np.concatenate((over, some[owed == edge][: k - len(over)]))
         return some
 
 
+def _array(items: Sequence) -> np.ndarray:
+    """Numbers as they are, everything else as objects (fixed-width text would lose trailing zero bytes)."""
+    if isinstance(items, np.ndarray) and items.dtype != object:
+        return items
+    values = list(items)
+    if values and all(type(x) is int for x in values):
+        return np.array(values, dtype=np.int64)
+    out = np.empty(len(values), dtype=object)
+    out[:] = values
+    return out
+
+
 def chunk_ends(n: int, s: int) -> np.ndarray:
     """Record positions at which the chunks end; sizes differ by one at most."""
     s = min(s, n)
