@@ -47,13 +47,6 @@ def left_missing(s: SparkSession, d: str) -> DataFrame:
 
 
 def full_outer(s: SparkSession, d: str) -> DataFrame:
-    ev = table(s, d, "events")
-    early = ev.where(F.col("event_id") < 500).groupBy("user_id").agg(F.count(F.lit(1)).alias("n_early"))
-    late = ev.where(F.col("event_id") >= 900).groupBy("user_id").agg(F.count(F.lit(1)).alias("n_late"))
-    return early.join(late, "user_id", "full").select("user_id", F.coalesce("n_early", F.lit(0)).alias("n_early"), F.coalesce("n_late", F.lit(0)).alias("n_late"))
-
-
-def full_outer_all(s: SparkSession, d: str) -> DataFrame:
     """Every event counts as early or late, by the middle of the table's own ids."""
     ev = table(s, d, "events")
     middle = ev.agg(F.floor((F.min("event_id") + F.max("event_id")) / 2).alias("middle"))
@@ -193,8 +186,7 @@ RELATIONAL |= {
     "join_semi": (semi, "SELECT s_suppkey FROM supplier WHERE s_suppkey IN (SELECT l_suppkey FROM lineitem WHERE l_quantity > 49)"),
     "join_anti": (anti, "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderdate >= TIMESTAMP '1999-01-01')"),
     "join_left": (left_missing, "SELECT lang, count(*) AS n, count(quality) AS n_labelled, count(*) - count(quality) AS n_missing FROM documents LEFT JOIN labels USING (doc_id) GROUP BY 1"),
-    "join_full": (full_outer, "SELECT user_id, coalesce(n_early, 0)::BIGINT AS n_early, coalesce(n_late, 0)::BIGINT AS n_late FROM (SELECT user_id, count(*) AS n_early FROM events WHERE event_id < 500 GROUP BY 1) FULL JOIN (SELECT user_id, count(*) AS n_late FROM events WHERE event_id >= 900 GROUP BY 1) USING (user_id)"),
-    "join_full_all": (full_outer_all, "WITH m AS (SELECT (min(event_id) + max(event_id)) // 2 AS middle FROM events) SELECT user_id, coalesce(n_early, 0)::BIGINT AS n_early, coalesce(n_late, 0)::BIGINT AS n_late FROM (SELECT user_id, count(*) AS n_early FROM events, m WHERE event_id <= middle GROUP BY 1) FULL JOIN (SELECT user_id, count(*) AS n_late FROM events, m WHERE event_id > middle GROUP BY 1) USING (user_id)"),
+    "join_full": (full_outer, "WITH m AS (SELECT (min(event_id) + max(event_id)) // 2 AS middle FROM events) SELECT user_id, coalesce(n_early, 0)::BIGINT AS n_early, coalesce(n_late, 0)::BIGINT AS n_late FROM (SELECT user_id, count(*) AS n_early FROM events, m WHERE event_id <= middle GROUP BY 1) FULL JOIN (SELECT user_id, count(*) AS n_late FROM events, m WHERE event_id > middle GROUP BY 1) USING (user_id)"),
     "join_range": (range_join, f"SELECT qid::BIGINT AS qid, sum(n)::BIGINT AS n FROM (SELECT {SEG_H} AS seg, count(*) AS n FROM events GROUP BY 1) JOIN (VALUES (0, 0, 24), (1, 12, 300), (2, 100, 101)) q(qid, lo, hi) ON seg >= lo AND seg < hi GROUP BY 1"),
     "join_as_of": (as_of, f"WITH s AS (SELECT event_type, {SEG_H} AS seg, count(*) AS n FROM events GROUP BY 1, 2), a AS (SELECT * FROM (SELECT DISTINCT event_type FROM s), (SELECT unnest(generate_series(0, 700, 100))::BIGINT AS t)) SELECT a.event_type, a.t, coalesce(s.n, 0)::BIGINT AS last_n FROM a ASOF LEFT JOIN s ON a.event_type = s.event_type AND a.t >= s.seg"),
     "join_theta": (between_joins, "SELECT CASE WHEN p_retailprice < 1000 THEN 0 WHEN p_retailprice < 1500 THEN 1 ELSE 2 END::BIGINT AS band, count(*) AS n FROM part GROUP BY 1"),
