@@ -2,15 +2,18 @@
 
 Vectors are scaled to length one and rotated to principal axes (largest first),
 which keeps every dot product. Two vectors whose cosine reaches the threshold
-lie within sqrt(2 - 2 t) of each other, so along the first axis only equal or
-neighbouring bands of that width can link. Inside a tile the leading axes are
+lie within sqrt(2 - 2 t) of each other, so along any axis only equal or
+neighbouring bands of that width can link. The bands of the leading axes make
+cells: as many axes as it takes until a point's cell holds a tile of points on
+average, up to `AXES`, as long as each at least halves that number. Inside a tile the leading axes are
 multiplied first; what the rest can add is at most the product of the suffix
 norms, and pairs that can't reach the threshold stop there. Pairs that remain
 are decided by the cosine of the original vectors in double precision.
 
 Equal vectors of a label are one point with a count; tiles report counts and
-spanning links per point, never pairs. Bands are cut into tiles of bounded size,
-each of which meets all points of its own and the lower band.
+spanning links per point, never pairs. Cells are cut into tiles of bounded size,
+each of which meets all points of its own and of half of the neighbouring cells,
+so that any two cells meet once. How many axes are taken changes no result.
 
 Defined cases: rows with a null label or id, and vectors that are null, zero,
 of another length or hold null or non-finite components, link with nothing and
@@ -20,6 +23,7 @@ gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import itertools
 import math
 from collections.abc import Iterator
 
@@ -36,6 +40,8 @@ from .vectors import common_size, matrix, stacked, usable
 THRESHOLD = 0.98
 TILE = 4096
 LEAD = 16
+#: Most axes that make cells.
+AXES = 4
 
 
 def principal_axes(points: DataFrame, dim: int) -> np.ndarray:
@@ -80,10 +86,24 @@ def close_pairs(x: np.ndarray, px: np.ndarray, y: np.ndarray, py: np.ndarray, th
     return i[keep], j[keep]
 
 
+def _cell_axes(banded: DataFrame, most: int, tile: int) -> int:
+    """How many leading axes make cells, from the sums of squared cell sizes (one row each)."""
+    met = None
+    for axes in range(1, most + 1):
+        cells = banded.groupBy("label", F.slice("bands", 1, axes)).agg(F.count(F.lit(1)).cast("double").alias("n"))
+        got = cells.agg(F.sum(F.col("n") ** 2) / F.sum("n")).first()[0] or 0.0
+        if met is not None and got > met / 2:
+            return axes - 1
+        met = got
+        if got <= tile:
+            return axes
+    return most
+
+
 def near_duplicates(
-    vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, tile: int = TILE,
+    vectors: DataFrame, id_col: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, tile: int = TILE, axes_taken: int | None = None,
 ) -> DataFrame:
-    """(vec_id, n_links, component_id, kept) for every row."""
+    """(vec_id, n_links, component_id, kept) for every row. `axes_taken` fixes the number of axes that make cells."""
     own = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector).alias("embedding"), F.col(label).alias("label"))
     dim = common_size(own.where(F.col("label").isNotNull() & F.col("vec_id").isNotNull()), "embedding")
     fit = usable("embedding", dim) & F.col("label").isNotNull() & F.col("vec_id").isNotNull() if dim > 0 else F.lit(False)
@@ -95,24 +115,28 @@ def near_duplicates(
     axes = principal_axes(points, dim) if dim > 0 else np.eye(1)
     width = math.sqrt(2 - 2 * threshold) + 1e-9
 
-    def band_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    most = max(1, min(AXES, dim))
+
+    def bands_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x = matrix(batch.column(2), dim)
-            first = x @ axes[:, 0] / np.linalg.norm(x, axis=1)
-            bands = pa.array(np.floor(first / width).astype(np.int32))
-            yield pa.RecordBatch.from_arrays([*batch.columns, bands], ["node", "n", "embedding", "label", "band"])
+            lead = x @ axes[:, :most] / np.linalg.norm(x, axis=1, keepdims=True)
+            bands = pa.FixedSizeListArray.from_arrays(pa.array(np.floor(lead / width).astype(np.int32).ravel()), most).cast(pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([*batch.columns, bands], ["node", "n", "embedding", "label", "bands"])
 
     kind = points.schema["label"].dataType.simpleString()
     item = points.schema["embedding"].dataType.simpleString()
-    banded = cut(points.select("node", "n", "embedding", "label").mapInArrow(band_of, f"node long, n long, embedding {item}, label {kind}, band int"))
-    tiles = banded.groupBy("label", "band").agg(F.ceil(F.count(F.lit(1)) / tile).cast("int").alias("tiles"))
-    visits = (
-        banded.withColumn("at", F.explode(F.array(F.col("band"), F.col("band") + 1)))
-        .join(tiles.withColumnRenamed("band", "at"), ["label", "at"])
-        .withColumn("tile", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
-    )
-    home = (F.col("band") == F.col("at")) & (F.pmod(F.xxhash64("node"), F.col("tiles")) == F.col("tile"))
-    visits = visits.select("label", "at", "tile", "node", "n", "embedding", (F.col("band") < F.col("at")).alias("lower"), home.alias("home"))
+    banded = cut(points.select("node", "n", "embedding", "label").mapInArrow(bands_of, f"node long, n long, embedding {item}, label {kind}, bands array<int>"))
+    k = axes_taken or _cell_axes(banded, most, tile)
+    banded = banded.withColumn("cell", F.slice("bands", 1, k)).drop("bands")
+    tiles = banded.groupBy("label", "cell").agg(F.ceil(F.count(F.lit(1)) / tile).cast("int").alias("tiles"))
+    steps = [d for d in itertools.product((-1, 0, 1), repeat=k) if d >= (0,) * k]  # a cell's own place, and of two neighbours the upper one
+    beside = F.explode(F.array(*[F.array(*[F.col("cell")[i] + F.lit(x) for i, x in enumerate(d)]) for d in steps]))
+    meets = tiles.select("label", "cell", beside.alias("at")).join(tiles.withColumnRenamed("cell", "at"), ["label", "at"])
+    visits = banded.join(meets, ["label", "cell"]).withColumn("tile", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    own_cell = F.col("cell") == F.col("at")
+    home = own_cell & (F.pmod(F.xxhash64("node"), F.col("tiles")) == F.col("tile"))
+    visits = visits.select("label", "at", "tile", "node", "n", "embedding", (~own_cell).alias("lower"), home.alias("home"))
 
     def compare(pdf: pd.DataFrame) -> pd.DataFrame:
         x = stacked(pdf.embedding.tolist(), dim)
