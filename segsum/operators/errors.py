@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import hashlib
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -90,6 +90,22 @@ def summarise(errors: DataFrame, queries: DataFrame, by: str, method: str) -> Da
     )
 
 
+def quantile_rank_errors(answers: DataFrame, counts: DataFrame, where: Column) -> DataFrame:
+    """(phi, value, err): by how much phi misses the ranks that `value` covers, as a share of the rows. `answers` (phi, value) is a bounded list."""
+    near = counts.where(where).crossJoin(F.broadcast(answers))  # counts times the listed answers, aggregated at once
+    got = near.groupBy("phi", "value").agg(
+        F.sum("cnt").alias("n"), F.sum(F.when(F.col("item") < F.col("value"), F.col("cnt")).otherwise(0)).alias("below"), F.sum(F.when(F.col("item") <= F.col("value"), F.col("cnt")).otherwise(0)).alias("upto"),
+    )
+    return got.select("phi", "value", F.greatest(F.lit(0.0), F.col("below") / F.col("n") - F.col("phi"), F.col("phi") - F.col("upto") / F.col("n")).alias("err"))
+
+
+def measured_msre(truth: DataFrame, est: DataFrame, memberships: DataFrame, weights: DataFrame) -> DataFrame:
+    """(msre): squared error by squared size, averaged over the workload, at the probe where it is largest. `truth` and `est` are contributions (seg, g, w); `memberships` (seg, qkey) are the cells of all queries, `weights` (qkey, size, q)."""
+    off = truth.unionByName(est.withColumn("w", -F.col("w"))).groupBy("seg", "g").agg(F.sum("w").alias("d")).where("d <> 0")
+    per = off.join(memberships.select("seg", "qkey"), "seg").groupBy("qkey", "g").agg(F.sum("d").alias("d"))
+    return per.join(weights, "qkey").groupBy("g").agg(F.sum(F.col("q") * (F.col("d") / F.col("size")) ** 2).alias("m")).agg(F.max("m").alias("msre"))
+
+
 def space_report(summary: DataFrame) -> DataFrame:
     """(n_segments, n_pairs, max_pairs, bytes) at sixteen bytes a pair."""
     per = summary.groupBy("seg").agg(F.count(F.lit(1)).alias("k"))

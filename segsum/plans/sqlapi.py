@@ -21,9 +21,12 @@ class SummaryItems:
 
 
 def register(spark: SparkSession, name: str, summary: DataFrame, header: DataFrame) -> None:
-    """Views <name> (seg, item, w) and <name>_header (seg, n), and the function summary_items."""
+    """Views <name> (seg, item, w) and <name>_header (seg, n), the function summary_items, and two functions that the engine plans inline: the table <name>_interval(lo, hi) of accumulated pairs and <name>_rank(lo, hi, x)."""
     summary.createOrReplaceTempView(name)
     header.createOrReplaceTempView(f"{name}_header")
+    kind = summary.schema["item"].dataType.simpleString()
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}_interval(lo BIGINT, hi BIGINT) RETURNS TABLE(item {kind}, w DOUBLE) RETURN SELECT item, sum(w) FROM {name} WHERE seg >= lo AND seg < hi GROUP BY item")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}_rank(lo BIGINT, hi BIGINT, x {kind}) RETURNS DOUBLE RETURN SELECT coalesce(sum(w), 0) FROM {name} WHERE seg >= lo AND seg < hi AND item <= x")
     spark.udtf.register("summary_items", SummaryItems)
 
 
