@@ -18,7 +18,8 @@ them with probability MISS. That number grows as n^.23 with the rows.
 Inside a leaf the triangle bound does work: a point becomes the vantage point of
 the points not yet taken, those within reach join it, and only points within
 twice the reach are compared with its members; no copy meets all other copies.
-A leaf with more than `tile` points is split by further levels of its own.
+A leaf with more than `tile` points is dealt to parts by hash, and every two parts
+meet in a task of their own, so no link of a leaf is lost by its size.
 
 Defined cases: words are those of the 64-bit fingerprints, ASCII letters lowered;
 a text of fewer than five words is one shingle; null and empty texts are copies
@@ -46,8 +47,6 @@ BITS = 1024
 MISS = 1e-3
 LEAF = 512
 TILE = 8192
-#: Levels beyond the depth of the forest that an overfull leaf may be split by.
-DEEPER = 16
 
 _ODD_BYTES = np.uint64(0x0101010101010101)
 
@@ -126,7 +125,7 @@ class StretchForest:
         self.depth = max(0, math.ceil(math.log2(max(1, rows) / leaf)))
         self.trees = trees_for(self.depth, reach, bits, miss)
         rng = np.random.default_rng(20_240_117)
-        self.stretches = [rng.choice(bits, self.depth + DEEPER, replace=False) for _ in range(self.trees)]
+        self.stretches = [rng.choice(bits, self.depth, replace=False) for _ in range(self.trees)]
 
     def sides(self, fps: np.ndarray, tree: int, level: int) -> np.ndarray:
         at = int(self.stretches[tree][level])
@@ -138,12 +137,6 @@ class StretchForest:
             code = code << 1 | self.sides(fps, tree, level)
         return code
 
-    def deeper(self, fps: np.ndarray, tree: int, levels: int) -> np.ndarray:
-        code = np.zeros(len(fps), np.int64)
-        for level in range(self.depth, self.depth + levels):
-            code = code << 1 | self.sides(fps, tree, level)
-        return code
-
 
 def leaf_links(nodes: np.ndarray, fps: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray]:
     """Links that join all points within `reach` of each other, by vantage points and the triangle bound."""
@@ -186,7 +179,7 @@ def wide_links(points: DataFrame, rows: int, reach: int, leaf: int = LEAF, tile:
 
     sizes = points.mapInArrow(count, "leaf long, n long").groupBy("leaf").agg(F.sum("n").alias("n")).where(F.col("n") > tile)
     # at most trees * rows / tile leaves are overfull, far fewer unless texts crowd
-    split = {r["leaf"]: min(DEEPER, math.ceil(math.log2(r["n"] / leaf))) for r in sizes.collect()}
+    parts = {r["leaf"]: max(2, -(-r["n"] // tile)) for r in sizes.collect()}
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -196,16 +189,21 @@ def wide_links(points: DataFrame, rows: int, reach: int, leaf: int = LEAF, tile:
             for tree in range(forest.trees):
                 code = forest.leaves(fps, tree)
                 sub = np.zeros(len(code), np.int64)
-                for full in np.intersect1d(code, list(split)) if split else ():
+                for full in np.intersect1d(code, list(parts)) if parts else ():
                     own = code == full
-                    sub[own] = forest.deeper(fps[own], tree, split[int(full)])
+                    sub[own] = nodes[own] % parts[int(full)]
                 order = np.lexsort((sub, code))
                 code, sub = code[order], sub[order]
                 cuts = np.flatnonzero((np.diff(code) != 0) | (np.diff(sub) != 0)) + 1
                 for s, e in zip([0, *cuts.tolist()], [*cuts.tolist(), len(code)], strict=True):
                     if e > s:
-                        keys.append((int(code[s]), int(sub[s])))
-                        blobs.append((nodes[order[s:e]].tobytes(), fps[order[s:e]].tobytes()))
+                        at, part = int(code[s]), int(sub[s])
+                        n = parts.get(at, 1)
+                        blob = (nodes[order[s:e]].tobytes(), fps[order[s:e]].tobytes())
+                        for other in range(n):  # a part meets each other part, and its own points there
+                            if n == 1 or other != part:
+                                keys.append((at, min(part, other) * n + max(part, other)))
+                                blobs.append(blob)
             yield pa.RecordBatch.from_arrays(
                 [pa.array([k[i] for k in keys], pa.int64()) for i in (0, 1)] + [pa.array([x[i] for x in blobs], pa.binary()) for i in (0, 1)], ["leaf", "sub", "nodes", "fps"],
             )
@@ -214,6 +212,11 @@ def wide_links(points: DataFrame, rows: int, reach: int, leaf: int = LEAF, tile:
         nodes = np.frombuffer(b"".join(pdf.nodes), np.int64)
         order = np.argsort(nodes, kind="stable")  # the same vantage points whatever way the rows come
         a, b = leaf_links(nodes[order], np.frombuffer(b"".join(pdf.fps), np.uint64).reshape(-1, words)[order], reach)
+        n = parts.get(int(pdf.leaf.iloc[0]), 1)
+        if n > 1:  # what joins points of one part is told by that part's first task only
+            lower, upper = divmod(int(pdf["sub"].iloc[0]), n)
+            first = np.where(a % n == 0, upper == 1, lower == 0)
+            a, b = a[(a % n != b % n) | first], b[(a % n != b % n) | first]
         return pd.DataFrame({"a": a, "b": b})
 
     return points.mapInArrow(deal, "leaf long, sub long, nodes binary, fps binary").groupBy("leaf", "sub").applyInPandas(compare, "a long, b long")

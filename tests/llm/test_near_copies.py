@@ -119,3 +119,22 @@ def test_stage_keeps_the_columns(spark, small):
     docs = spark.read.parquet(f"{small}/documents.parquet")
     kept = dict(cp.STAGES)["simhash_dedup"](spark, docs, small)
     assert kept.columns == docs.columns and 0 < kept.count() <= docs.count()
+
+
+def test_an_overfull_leaf_loses_no_link(spark):
+    """Chains of points that only their neighbours reach: parts of any size give the components of the whole leaf."""
+    rng = np.random.default_rng(4)
+    fps = [rng.integers(0, 2, 1024)]
+    for i in range(119):
+        nxt = fps[-1].copy() if i % 4 else rng.integers(0, 2, 1024)
+        if i % 4:
+            nxt[rng.choice(1024, 150, replace=False)] ^= 1
+        fps.append(nxt)
+    packed_ = [np.packbits(f.astype(np.uint8), bitorder="little").tobytes() for f in fps]
+    points = spark.createDataFrame([(int(rng.integers(1 << 60)), b) for b in packed_], "node long, fp binary").cache()
+
+    def roots(tile):
+        links = sw.wide_links(points, 100, sw.reach_of(0.8), 512, tile)
+        return {r.node: r.root for r in sw.connected_components(links).collect()}
+
+    assert len(set(roots(1 << 20).values())) == 30 and roots(30) == roots(1 << 20)
