@@ -1,0 +1,49 @@
+"""Several variants of a summary in one pass over the counts give what each gives alone."""
+
+import numpy as np
+import pytest
+
+from segsum.functions.kernels import pair_step, pairwise_draw
+from segsum.operators.compensated import compensated_freq, compensated_freqs
+from segsum.operators.pps import pps, pps_sizes
+
+
+def pairs(df):
+    return sorted((r.seg, r.item, round(r.w, 9)) for r in df.collect())
+
+
+@pytest.fixture(scope="module")
+def words(spark):
+    rng = np.random.default_rng(4)
+    rows = [(g, f"w{i}", int(c)) for g in range(20) for i, c in enumerate(rng.zipf(1.4, 60).clip(max=90)) if (i + g) % 3]
+    return spark.createDataFrame(rows, "seg long, item string, cnt long")
+
+
+def test_compensated_variants_restart_on_their_own(words):
+    variants = [(4, 16, 1.0), (8, 16, 1.5), (4, 2, 1.0)]
+    both = compensated_freqs(words, variants).cache()
+    for i, (s, k_t, r) in enumerate(variants):
+        assert pairs(both.where(f"variant = {i}")) == pairs(compensated_freq(words, s, k_t, r))
+    with pytest.raises(ValueError):
+        compensated_freqs(words, [(4, 3, 1.0), (4, 16, 1.0)])
+
+
+def test_pairwise_samples_of_several_sizes(words):
+    both = pps_sizes(words, [3, 8, 50]).cache()
+    for i, s in enumerate((3, 8, 50)):
+        assert pairs(both.where(f"variant = {i}")) == pairs(pps(words, s, "pairwise"))
+
+
+def test_draw_follows_the_pair_steps():
+    rng = np.random.default_rng(6)
+    for _ in range(300):
+        p, u = np.minimum(1.0, rng.zipf(1.5, 50) / rng.integers(2, 12)), rng.integers(0, 1 << 32, 50) / (1 << 32)
+        want, held, carry = p >= 1, -1, 0.0
+        for i in np.flatnonzero(p < 1):
+            a, b = pair_step(carry, p[i], u[i]) if held >= 0 else (0.0, p[i])
+            if max(a, b) > 1 - 1e-9:
+                want[held if a > b else i] = True
+            held, carry = next(((j, x) for j, x in ((held, a), (i, b)) if 1e-9 < x < 1 - 1e-9), (-1, 0.0))
+        if carry >= 1 - 1e-6:
+            want[held] = True
+        assert (pairwise_draw(p, u) == want).all()
