@@ -2,10 +2,16 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
+from segsum.functions.hashing import md5_int
 from segsum.functions.kernels import pair_step, pairwise_draw
+from segsum.operators.baselines import uniform_sample
 from segsum.operators.compensated import compensated_freq, compensated_freqs
 from segsum.operators.pps import pps, pps_sizes
+from segsum.operators.segment import segment_cube
+from segsum.sources.datasets import CUBES, cube_rows
 
 
 def pairs(df):
@@ -47,3 +53,20 @@ def test_draw_follows_the_pair_steps():
         if carry >= 1 - 1e-6:
             want[held] = True
         assert (pairwise_draw(p, u) == want).all()
+
+
+def test_records_are_ranked_whole_where_too_few_lie_under_the_level(spark):
+    """Copies of one key share its md5: a segment of copies of a late key has none under the level."""
+    rows = spark.createDataFrame([(0, i, f"k{i}") for i in range(3000)] + [(1, i, "k5") for i in range(3000)], "seg long, item long, key string")
+    late = rows.groupBy("key").agg(F.max(md5_int("1", F.col("key"))).alias("u")).orderBy(F.desc("u")).first()["key"]
+    rows = rows.withColumn("key", F.when(F.col("seg") == 1, F.lit(late)).otherwise(F.col("key")))
+    got = uniform_sample(rows, "key", 4)
+    order = Window.partitionBy("seg").orderBy(md5_int("1", F.col("key")), "key")
+    want = rows.where("seg = 0").withColumn("r", F.row_number().over(order)).where("r <= 4")
+    assert {r.item: r.w for r in got.where("seg = 0").collect()} == {r.item: 750.0 for r in want.collect()}
+    assert got.where("seg = 1").agg(F.sum("w")).first()[0] == 3000.0
+
+
+def test_words_of_a_cube_meet_its_cells_without_a_shuffle(spark, small):
+    rows, _ = segment_cube(cube_rows(spark, small, "cube_text"), CUBES["cube_text"][0])
+    assert "SortMergeJoin" not in rows.select("seg", "item")._jdf.queryExecution().executedPlan().toString()
