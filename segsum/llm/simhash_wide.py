@@ -47,6 +47,8 @@ BITS = 1024
 MISS = 1e-3
 LEAF = 512
 TILE = 8192
+#: Bytes of fingerprints that a worker gathers before it hands them on; all trees of a batch at once would take some thirty times the batch.
+GATHERED = 1 << 21
 
 _ODD_BYTES = np.uint64(0x0101010101010101)
 
@@ -162,6 +164,43 @@ def leaf_links(nodes: np.ndarray, fps: np.ndarray, reach: int) -> tuple[np.ndarr
     return np.concatenate(a), np.concatenate(b)
 
 
+def dealt(forest: StretchForest, nodes: np.ndarray, fps: np.ndarray, parts: dict[int, int], most: int = GATHERED) -> Iterator[pa.RecordBatch]:
+    """(leaf, sub, nodes, fps): the points of each leaf as one row of bytes, handed on as soon as `most` bytes are gathered. `parts` tells the overfull leaves."""
+    keys: list[tuple[int, int]] = []
+    blobs: list[tuple[bytes, bytes]] = []
+    size = 0
+
+    def gathered() -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays(
+            [pa.array([k[i] for k in keys], pa.int64()) for i in (0, 1)] + [pa.array([x[i] for x in blobs], pa.binary()) for i in (0, 1)], ["leaf", "sub", "nodes", "fps"],
+        )
+
+    for tree in range(forest.trees):
+        code = forest.leaves(fps, tree)
+        sub = np.zeros(len(code), np.int64)
+        for full in np.intersect1d(code, list(parts)) if parts else ():
+            own = code == full
+            sub[own] = nodes[own] % parts[int(full)]
+        order = np.lexsort((sub, code))
+        code, sub = code[order], sub[order]
+        cuts = np.flatnonzero((np.diff(code) != 0) | (np.diff(sub) != 0)) + 1
+        for s, e in zip([0, *cuts.tolist()], [*cuts.tolist(), len(code)], strict=True):
+            if e > s:
+                at, part = int(code[s]), int(sub[s])
+                n = parts.get(at, 1)
+                blob = (nodes[order[s:e]].tobytes(), fps[order[s:e]].tobytes())
+                for other in range(n):  # a part meets each other part, and its own points there
+                    if n == 1 or other != part:
+                        keys.append((at, min(part, other) * n + max(part, other)))
+                        blobs.append(blob)
+                        size += len(blob[0]) + len(blob[1])
+                        if size >= most:
+                            yield gathered()
+                            keys, blobs, size = [], [], 0
+    if keys:
+        yield gathered()
+
+
 def wide_links(points: DataFrame, rows: int, reach: int, leaf: int = LEAF, tile: int = TILE, bits: int = BITS, miss: float = MISS) -> DataFrame:
     """(a, b): links between nodes of `points` (node, fp; distinct) whose fingerprints lie within `reach` bits."""
     forest = StretchForest(rows, reach, bits, leaf, miss)
@@ -183,30 +222,7 @@ def wide_links(points: DataFrame, rows: int, reach: int, leaf: int = LEAF, tile:
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps, nodes = opened(batch), batch.column(0).to_numpy(zero_copy_only=False)
-            keys: list[tuple[int, int]] = []
-            blobs: list[tuple[bytes, bytes]] = []
-            for tree in range(forest.trees):
-                code = forest.leaves(fps, tree)
-                sub = np.zeros(len(code), np.int64)
-                for full in np.intersect1d(code, list(parts)) if parts else ():
-                    own = code == full
-                    sub[own] = nodes[own] % parts[int(full)]
-                order = np.lexsort((sub, code))
-                code, sub = code[order], sub[order]
-                cuts = np.flatnonzero((np.diff(code) != 0) | (np.diff(sub) != 0)) + 1
-                for s, e in zip([0, *cuts.tolist()], [*cuts.tolist(), len(code)], strict=True):
-                    if e > s:
-                        at, part = int(code[s]), int(sub[s])
-                        n = parts.get(at, 1)
-                        blob = (nodes[order[s:e]].tobytes(), fps[order[s:e]].tobytes())
-                        for other in range(n):  # a part meets each other part, and its own points there
-                            if n == 1 or other != part:
-                                keys.append((at, min(part, other) * n + max(part, other)))
-                                blobs.append(blob)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([k[i] for k in keys], pa.int64()) for i in (0, 1)] + [pa.array([x[i] for x in blobs], pa.binary()) for i in (0, 1)], ["leaf", "sub", "nodes", "fps"],
-            )
+            yield from dealt(forest, batch.column(0).to_numpy(zero_copy_only=False), opened(batch), parts)
 
     def compare(pdf: pd.DataFrame) -> pd.DataFrame:
         nodes = np.frombuffer(b"".join(pdf.nodes), np.int64)

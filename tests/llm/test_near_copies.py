@@ -138,3 +138,24 @@ def test_an_overfull_leaf_loses_no_link(spark):
         return {r.node: r.root for r in sw.connected_components(links).collect()}
 
     assert len(set(roots(1 << 20).values())) == 30 and roots(30) == roots(1 << 20)
+
+
+def test_a_batch_is_handed_on_in_small_parts_and_whole():
+    """All trees of 10,000 points at once filled a worker; no part may hold more than the bound and one leaf's points."""
+    rng = np.random.default_rng(5)
+    fps = rng.integers(0, 1 << 63, (4_000, sw.BITS // 64), dtype=np.uint64)
+    nodes = np.arange(4_000, dtype=np.int64)
+    forest = sw.StretchForest(200_000, sw.reach_of(0.8))
+    code = forest.leaves(fps, 0)
+    full = int(code[0])  # an overfull leaf, dealt to three parts
+    got, widest = [], 0
+    for batch in sw.dealt(forest, nodes, fps, {full: 3}, 100_000):
+        bytes_ = [len(a) + len(b) for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
+        assert sum(bytes_[:-1]) < 100_000
+        widest = max(widest, batch.num_rows)
+        for leaf, own, point in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+            at = np.frombuffer(own, np.int64)
+            assert np.array_equal(np.frombuffer(point, np.uint64).reshape(-1, sw.BITS // 64), fps[at])
+            got.extend((leaf, int(i)) for i in at)
+    want = [(int(c), i) for t in range(forest.trees) for i, c in enumerate(forest.leaves(fps, t).tolist()) for _ in range(2 if c == full else 1)]
+    assert widest and sorted(got) == sorted(want)
